@@ -107,8 +107,7 @@ class SlicedBlock:
             if drop:
                 # kth * 2**drop bounds the k-th exact score from below; what was left out adds at most slack
                 slack = ((1 << drop) - 1) * int(np.abs(query).sum())
-                least = kth - -(-slack >> drop) if slack else kth
-                least = max(0, kth - (slack + (1 << drop) - 1 >> drop))
+                least = max(0, kth - (slack >> drop))
                 above, equal = np.zeros_like(self.valid), self.valid
                 for power in range(len(sums) - 1, -1, -1):
                     if least >> power & 1:
