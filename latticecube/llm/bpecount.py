@@ -25,7 +25,7 @@ from . import common
 PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
 #: Entries of the per-worker dictionary of counted pre-tokens (about 100 bytes each).
-MEMO_ENTRIES = 600_000
+MEMO_ENTRIES = 1_500_000
 
 _loaded: dict[str, PairCounter] = {}
 

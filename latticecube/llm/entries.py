@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpecount, common, tokenout, topk
+from . import bpecount, common, neardup, tokenout, topk
 
 
 def vocab_path(name: str) -> str:
@@ -27,6 +27,10 @@ def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpecount.count_tokens(common.table(spark, sf_dir, "documents"), vocab_path("byte_bpe_50k.json"))
 
 
+def op8_bottom_k_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.near_duplicates(common.table(spark, sf_dir, "documents"))
+
+
 SQL_TOPK = """
 WITH v AS (
   SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(64 * CAST(x AS DOUBLE)) AS DOUBLE)) AS v
@@ -45,7 +49,7 @@ SELECT query_id, rank, vec_id, score FROM placed WHERE rank <= 20
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op2_bit_sliced_topk, op3_token_output, op6_token_counts)}
+    return {f.__name__: f for f in (op2_bit_sliced_topk, op3_token_output, op6_token_counts, op8_bottom_k_near_duplicates)}
 
 
 def oracle_sql() -> dict[str, str]:

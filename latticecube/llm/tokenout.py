@@ -35,13 +35,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import common
+from .bpecount import byte_letters
 
 MAGIC = b"LCIDSHRD"
 HEADER = struct.Struct("<8sIIQQQQQQ")
 #: Text bytes a shard should hold at most, about.
 SHARD_BYTES = 256 << 20
-#: Distinct white-space-free chunks whose ids a worker keeps.
-MEMO_ENTRIES = 400_000
+#: Distinct words, and white-space-free chunks, whose ids a worker keeps (about 150 bytes each).
+MEMO_ENTRIES = 700_000
 #: Mean number of keys in a bucket of the index.
 BUCKET_KEYS = 4
 
@@ -122,12 +123,14 @@ def fingerprint(keys: np.ndarray) -> np.ndarray:
 class Encoder:
     """Whole-text ids of a vocabulary file, from the tokenizers library.
 
-    Where the pre-tokeniser drops white space, a text's ids are those of its white-space-free chunks in order,
-    so each distinct chunk goes to the library once and is then remembered.  Texts with letters beyond the
-    extended Latin blocks, with odd control characters or with what may be a special string go to the library whole.
+    Where the pre-tokeniser splits by one pattern that drops white space, a text's ids are those of its
+    white-space-free chunks in order, and a chunk's those of its lower-case words: each distinct word goes to the
+    library's model once, and words and chunks are remembered.  Texts with letters beyond the extended Latin
+    blocks, with odd control characters or with what may be a special string go to the library whole.
     """
 
     def __init__(self, path: str):
+        import regex
         from tokenizers import Tokenizer
 
         self.of = Tokenizer.from_file(path)
@@ -136,28 +139,39 @@ class Encoder:
         self.dtype = np.dtype("<u2" if self.width == 2 else "<u4")
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
-        splits = json.dumps(spec.get("pre_tokenizer") or {})
-        self.by_chunk = '"Removed"' in splits and "end_of_word_suffix" in spec["model"] and bool(spec["model"]["end_of_word_suffix"])
+        steps = (spec.get("pre_tokenizer") or {}).get("pretokenizers") or [{}]
+        self.by_word = [s.get("type") for s in steps] == ["Split", "ByteLevel"] and steps[0].get("behavior") == "Removed" and [n.get("type") for n in (spec.get("normalizer") or {}).get("normalizers", [])] == ["NFC", "Replace", "Lowercase"]
+        if self.by_word:
+            self.find = regex.compile(steps[0]["pattern"]["Regex"]).findall
+            self.model, self.letters = self.of.model, byte_letters()
         self.odd = re.compile(r"[^\t-\r -~\xa1-ɏ‐-‧]|<\|").search
-        self.memo: dict[str, bytes] = {}
+        self.chunks: dict[str, bytes] = {}
+        self.words: dict[str, bytes] = {}
 
-    def _library(self, texts: list[str]) -> list[bytes]:
-        return [np.asarray(e.ids, self.dtype).tobytes() for e in self.of.encode_batch(texts, add_special_tokens=False)]
+    def _word(self, word: str) -> bytes:
+        shown = word if word.isascii() else "".join(map(self.letters.__getitem__, word.encode()))
+        self.words[word] = ids = np.array([t.id for t in self.model.tokenize(shown)], self.dtype).tobytes()
+        return ids
+
+    def _chunk(self, chunk: str) -> bytes:
+        words = self.words
+        self.chunks[chunk] = ids = b"".join([words.get(w) or self._word(w) for w in self.find(chunk.lower())])
+        return ids
 
     def encode(self, text: str | None) -> bytes:
         if not text:
             return b""
-        if not self.by_chunk or self.odd(text):
-            return self._library([text])[0]
-        chunks, memo = text.split(), self.memo
-        try:
-            return b"".join(map(memo.__getitem__, chunks))
-        except KeyError:
+        if not self.by_word or self.odd(text):
+            return np.asarray(self.of.encode(text, add_special_tokens=False).ids, self.dtype).tobytes()
+        for memo in (self.chunks, self.words):
             if len(memo) > MEMO_ENTRIES:
                 memo.clear()
-            new = [c for c in dict.fromkeys(chunks) if c not in memo]
-            memo.update(zip(new, self._library(new), strict=True))
-            return b"".join(map(memo.__getitem__, chunks))
+        parts = text.split()
+        try:
+            return b"".join(map(self.chunks.__getitem__, parts))
+        except KeyError:
+            of = self.chunks.get
+            return b"".join([of(c) or self._chunk(c) for c in parts])
 
 
 _encoders: dict[str, Encoder] = {}
