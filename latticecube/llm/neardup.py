@@ -6,9 +6,11 @@
    them.  Two sets of similarity 0.75 share at least t of their retained values, so they share at least ``OVERLAPS`` of
    the values that are left when each drops its t - ``OVERLAPS`` most frequent ones.  Passages that many texts
    hold are thereby dropped from most lists, and texts with too few shared values from all.
-3. First every class is compared with the best-overlapping of the hubs (least members) of its lists, which links the
-   bulk of a large group without its pairs.  Then only lists that still hold more than one component give pairs,
-   and only pairs from different components.
+3. First every class is compared with the best-overlapping of the hubs of its lists, a list's hub being the member with the
+   least share of values of its own; this links the bulk of a large group without its pairs.  For members of crowded lists
+   that are still apart, whole sets are indexed: the hubs are chosen once more, from exact shares, and a pair counts only if
+   what follows its first common value, in the order of rising frequency, can still reach 3/7 (n1 + n2).  Other lists give
+   pairs only if they hold more than one component, and only pairs from different components.
 4. The sketch of the union of two sets estimates their similarity and filters; the exact Jaccard of the
    full sets, made again from the texts, decides.
 
@@ -32,6 +34,10 @@ from . import common, graph
 WORDS = 5
 SKETCH = 64
 OVERLAPS = 4
+#: Members from which on an open list's texts are looked at whole before it gives pairs.
+CROWD = 32
+#: Sets of a crowd up to which a value counts as the members' own.
+RARE = 16
 SIGMAS = 6.0
 MEMO_ENTRIES = 600_000
 NUM, DEN = 75, 100
@@ -125,7 +131,10 @@ def least_shared(n, k: int):
 
 
 def shared_lists(classes: DataFrame, k: int) -> DataFrame:
-    """``value, rep, n, need``: the lists of the index that can lead to a link, need of which a pair must share."""
+    """``value, rep, n, need, alone``: the lists of the index that can lead to a link, need of which a pair must share.
+
+    alone is the share of a class's retained values that no other class retains.
+    """
     values = classes.select("rep", "n", F.explode("sketch").alias("value"))
     counts = values.groupBy("value").agg(F.count("*").alias("df")).where("df > 1")
     shared = values.join(counts, "value")
@@ -134,7 +143,8 @@ def shared_lists(classes: DataFrame, k: int) -> DataFrame:
     per = per.withColumn("need", F.least(F.lit(OVERLAPS), t))
     single = F.least(F.lit(k), F.col("n")) - F.size("by_df")  # values of this class alone come first
     left = F.least(F.lit(k), F.col("n")) - t + F.col("need") - single
-    return per.where(left > 0).select(F.explode(F.slice("by_df", F.lit(1), left)).alias("x"), "rep", "n", "need").select("x.value", "rep", "n", "need")
+    alone = (single / F.least(F.lit(k), F.col("n"))).alias("alone")
+    return per.where(left > 0).select(F.explode(F.slice("by_df", F.lit(1), left)).alias("x"), "rep", "n", "need", alone).select("x.value", "rep", "n", "need", "alone")
 
 
 def _estimated(pairs: DataFrame, classes: DataFrame, k: int) -> DataFrame:
@@ -147,16 +157,63 @@ def _estimated(pairs: DataFrame, classes: DataFrame, k: int) -> DataFrame:
     return both.where(F.when(whole, F.col("shared") * DEN >= F.col("seen") * NUM).otherwise(F.col("shared") >= least_shared(F.greatest("n_a", "n_b"), k))).select("a", "b")
 
 
-def _verified(pairs: DataFrame, docs: DataFrame) -> DataFrame:
+def _verified(pairs: DataFrame, docs: DataFrame, sets: DataFrame | None = None) -> DataFrame:
     """Keep pairs whose full sets have an exact similarity of 0.75 or more."""
-    ids = common.written(pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct(), "ids")
-    sets = common.written(full_sets(docs, ids), "sets")
+    if sets is None:
+        ids = common.written(pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct(), "ids")
+        sets = common.written(full_sets(docs, ids), "sets")
     of = lambda side: sets.select(F.col("doc_id").alias(side), F.col("items").alias(f"s_{side}"))
     both = pairs.join(of("a"), "a").join(of("b"), "b")
     shared = F.size(F.array_intersect("s_a", "s_b"))
     return both.withColumn("i", shared).where(F.col("i") * DEN >= (F.size("s_a") + F.size("s_b") - F.col("i")) * NUM).select("a", "b").distinct()
 
 
+def _toward_hubs(lists: DataFrame, classes: DataFrame | None, docs: DataFrame, k: int, apart: bool = False, sets: DataFrame | None = None) -> DataFrame:
+    """Verified links of each class with the hub it overlaps most: of a list, the member with the least share of values of its own."""
+    hubs = lists.groupBy("value").agg(F.min(F.struct("alone", "rep", *(["comp"] if apart else []))).alias("hub"))
+    toward = lists.join(hubs, "value").where(F.col("rep") != F.col("hub.rep"))
+    if apart:
+        toward = toward.where(F.col("comp") != F.col("hub.comp"))
+    toward = toward.groupBy("rep", F.col("hub.rep").alias("hub"), "need").agg(F.count("*").alias("c")).where("c >= need")
+    best = toward.groupBy("rep").agg(F.max_by("hub", F.struct("c", -F.col("hub"))).alias("hub")).select(F.col("rep").alias("a"), F.col("hub").alias("b"))
+    if classes is not None:
+        best = _estimated(best, classes, k)
+    return common.written(_verified(common.written(best, "pairs"), docs, sets), "links")
+
+
+def _still_open(lists: DataFrame, found: DataFrame) -> DataFrame:
+    """The lists whose members are in more than one component, with ``comp`` of each member."""
+    found = common.written(found, "components")
+    rest = [F.col(c) for c in lists.columns if c != "comp"]
+    placed = lists.join(found, lists["rep"] == found["node"], "left").select(*rest, F.coalesce("component", "rep").alias("comp"))
+    mixed = placed.groupBy("value").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("value")
+    return placed.join(mixed, "value", "left_semi")
+
+
+def _whole_lists(sets: DataFrame) -> DataFrame:
+    """``value, rep, n, pos, need, alone``: an index of whole sets, each in the order of rising frequency.
+
+    Two sets of similarity 0.75 share one of their first n - 0.75 n + 1 values; only these are kept.
+    pos counts all values before, alone is the share of values that at most ``RARE`` sets have.
+    """
+    values = sets.select(F.col("doc_id").alias("rep"), F.explode("items").alias("value"))
+    counts = values.groupBy("value").agg(F.count("*").alias("df"))
+    ordered = values.join(counts, "value").groupBy("rep").agg(F.sort_array(F.collect_list(F.struct("df", "value"))).alias("by_df"))
+    n = F.size("by_df")
+    rare = F.size(F.filter("by_df", lambda x: x.df <= RARE))
+    first = F.slice("by_df", F.lit(1), n - F.ceil(n * NUM / DEN).cast("int") + 1)
+    kept = ordered.select("rep", n.alias("n"), (rare / n).alias("alone"), F.posexplode(first).alias("pos", "x")).where("x.df > 1")
+    return kept.select("x.value", "rep", "n", "pos", F.lit(1).alias("need"), "alone")
+
+
+def _within_bound(lists: DataFrame) -> DataFrame:
+    """Pairs of an index of whole sets that may reach the similarity: the values from their first common one on must suffice."""
+    of = lambda side: lists.select("value", *(F.col(c).alias(f"{c}_{side}") for c in ("rep", "n", "pos", "comp")))
+    rest = F.least(F.col("n_a") - F.col("pos_a"), F.col("n_b") - F.col("pos_b"))
+    met = of("a").join(of("b"), "value").where((F.col("rep_a") < F.col("rep_b")) & (F.col("comp_a") != F.col("comp_b")) & (rest * (NUM + DEN) >= (F.col("n_a") + F.col("n_b")) * NUM))
+    return met.select(F.col("rep_a").alias("a"), F.col("rep_b").alias("b")).distinct()
+
+
 def near_duplicates(docs: DataFrame, k: int = SKETCH) -> DataFrame:
     """``doc_id, n_shingles, component_id, kept`` of every row of ``docs(doc_id, text)``."""
     made = common.written(sketches(docs, k), "sketches")
@@ -164,20 +221,29 @@ def near_duplicates(docs: DataFrame, k: int = SKETCH) -> DataFrame:
     classes = common.written(has.groupBy("n", "f1", "f2").agg(F.min("doc_id").alias("rep"), F.first("sketch").alias("sketch")), "classes")
     lists = common.written(shared_lists(classes, k), "lists")
 
-    # hubs first: one candidate for each class
-    hubs = lists.groupBy("value").agg(F.min("rep").alias("hub"))
-    toward = lists.join(hubs, "value").where("rep <> hub").groupBy("rep", "hub", "need").agg(F.count("*").alias("c")).where("c >= need")
-    best = toward.groupBy("rep").agg(F.max_by("hub", F.struct("c", -F.col("hub"))).alias("hub")).select(F.col("rep").alias("a"), F.col("hub").alias("b"))
-    links = common.written(_verified(common.written(_estimated(best, classes, k), "pairs"), docs), "links")
-    found = common.written(graph.components(links), "components")
-
-    # then what the hubs left apart
-    placed = lists.join(found, lists["rep"] == found["node"], "left").select("value", "rep", "n", "need", F.coalesce("component", "rep").alias("comp"))
-    mixed = placed.groupBy("value").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("value")
-    open_lists = common.written(placed.join(mixed, "value", "left_semi"), "open")
-    of = lambda side: open_lists.select("value", F.col("rep").alias(side), F.col("n").alias(f"n_{side}"), F.col("need").alias(f"need_{side}"), F.col("comp").alias(f"c_{side}"))
-    apart = of("a").join(of("b"), "value").where("a < b AND c_a <> c_b").where(F.least("n_a", "n_b") * DEN >= F.greatest("n_a", "n_b") * NUM)
-    pairs = apart.groupBy("a", "b").agg(F.count("*").alias("c"), F.min(F.least("need_a", "need_b")).alias("need")).where("c >= need").select("a", "b")
+    # hubs first: each class against the hub that it overlaps most
+    links = _toward_hubs(lists, classes, docs, k)
+    lists = common.written(_still_open(lists, graph.components(links)), "open")
+
+    # members of crowded lists that are still open: whole sets, hubs nearer to the group's middle, then a positional bound
+    crowded = lists.groupBy("value").agg(F.count("*").alias("m")).where(F.col("m") >= CROWD).select("value")
+    crowd = common.written(lists.join(crowded, "value", "left_semi").select(F.col("rep").alias("doc_id")).distinct(), "crowd")
+    if not crowd.isEmpty():
+        sets = common.written(full_sets(docs, crowd), "sets")
+        whole = common.written(_whole_lists(sets), "whole")
+        comps = graph.components(links)
+        links = links.union(_toward_hubs(_still_open(whole, comps), None, docs, k, apart=True, sets=sets))
+        pairs = common.written(_within_bound(_still_open(whole, graph.components(links))), "pairs")
+        links = links.union(_verified(pairs, docs, sets))
+        lists = lists.join(common.small_side(crowd.select(F.col("doc_id").alias("rep"), F.lit(True).alias("crowd"))), "rep", "left")
+    else:
+        lists = lists.withColumn("crowd", F.lit(None).cast("boolean"))
+
+    # then the pairs of the other lists that the hubs left apart
+    of = lambda side: lists.select("value", *(F.col(c).alias(f"{c}_{side}") for c in ("rep", "n", "need", "comp", "crowd")))
+    similar = F.least("n_a", "n_b") * DEN >= F.greatest("n_a", "n_b") * NUM
+    apart = of("a").join(of("b"), "value").where((F.col("rep_a") < F.col("rep_b")) & (F.col("comp_a") != F.col("comp_b")) & similar & (F.col("crowd_a").isNull() | F.col("crowd_b").isNull()))
+    pairs = apart.groupBy(F.col("rep_a").alias("a"), F.col("rep_b").alias("b")).agg(F.count("*").alias("c"), F.min(F.least("need_a", "need_b")).alias("need")).where("c >= need").select("a", "b")
     more = _verified(common.written(_estimated(pairs, classes, k), "pairs"), docs)
     found = graph.components(links.union(more))
 
