@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpecount, common, neardup, tokenout, topk
+from . import bpecount, common, decontam, langid, mixing, neardup, tokenout, topk, toxicity
 
 
 def vocab_path(name: str) -> str:
@@ -31,6 +31,35 @@ def op8_bottom_k_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.near_duplicates(common.table(spark, sf_dir, "documents"))
 
 
+def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = common.table(spark, sf_dir, "documents")
+    return langid.identify(docs, langid.train(docs))
+
+
+def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = common.table(spark, sf_dir, "documents")
+    return toxicity.score(docs, toxicity.train(docs, common.table(spark, sf_dir, "labels")))
+
+
+def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontam.contaminated(common.table(spark, sf_dir, "documents"), common.table(spark, sf_dir, "benchmark"))
+
+
+#: The mix of the query and the pipeline: three domains by the number in a source's name.
+MIX = {"domain": {"d0": 0.5, "d1": 0.3, "d2": 0.2}, "lang": {"en": 0.55, "de": 0.15, "fr": 0.15, "es": 0.15}, "source": {None: 1.0}}
+MIX_SHARE, MIX_SEED = 0.6, 17
+DOMAIN_SQL = "'d' || (CAST(coalesce(nullif(regexp_extract(source, '([0-9]{1,9})$', 1), ''), '0') AS BIGINT) % 3)"
+
+
+def mix_domain():
+    number = F.coalesce(F.nullif(F.regexp_extract("source", r"([0-9]{1,9})$", 1), F.lit("")), F.lit("0")).cast("long")
+    return F.when(F.col("source").isNotNull(), F.concat(F.lit("d"), (number % 3).cast("string")))
+
+
+def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix(common.table(spark, sf_dir, "documents"), MIX, MIX_SHARE, mix_domain(), epochs=2, seed=MIX_SEED)
+
+
 SQL_TOPK = """
 WITH v AS (
   SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(64 * CAST(x AS DOUBLE)) AS DOUBLE)) AS v
@@ -49,8 +78,9 @@ SELECT query_id, rank, vec_id, score FROM placed WHERE rank <= 20
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op2_bit_sliced_topk, op3_token_output, op6_token_counts, op8_bottom_k_near_duplicates)}
+    made = (op2_bit_sliced_topk, op3_token_output, op4_mixing, op6_token_counts, op7_toxicity, op8_bottom_k_near_duplicates, op9_decontamination, op10_language_id)
+    return {f.__name__: f for f in made}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_bit_sliced_topk": SQL_TOPK}
+    return {"op2_bit_sliced_topk": SQL_TOPK, "op4_mixing": mixing.oracle(MIX, MIX_SHARE, DOMAIN_SQL, 2, MIX_SEED), "op9_decontamination": decontam.oracle()}
