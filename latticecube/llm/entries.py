@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpecount, common, decontam, langid, mixing, neardup, tokenout, topk, toxicity
+from . import bpecount, common, decontam, langid, mixing, neardup, pii, sharding, tokenout, topk, toxicity
 
 
 def vocab_path(name: str) -> str:
@@ -60,6 +60,19 @@ def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(common.table(spark, sf_dir, "documents"), MIX, MIX_SHARE, mix_domain(), epochs=2, seed=MIX_SEED)
 
 
+def op1_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The key comes from whoever owns the corpus; this one is for these synthetic tables."""
+    return pii.surrogates(common.table(spark, sf_dir, "documents"), b"latticecube synthetic tables")
+
+
+def op5_size_tiered_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents arrive in eight parts, are compacted, and are read from the last version."""
+    store = sharding.sharded(common.table(spark, sf_dir, "documents"), common.scratch(spark, "shards"), arrivals=8, target_bytes=64 << 20, smallest=1 << 20)
+    return store.read().select("doc_id", F.octet_length("text").cast("long").alias("n_bytes"), F.md5(F.col("text").cast("binary")).alias("text_md5"), "lang", "source")
+
+
+SQL_SHARDS = "SELECT doc_id, CAST(strlen(text) AS BIGINT) AS n_bytes, md5(text) AS text_md5, lang, source FROM documents"
+
 SQL_TOPK = """
 WITH v AS (
   SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(64 * CAST(x AS DOUBLE)) AS DOUBLE)) AS v
@@ -78,9 +91,9 @@ SELECT query_id, rank, vec_id, score FROM placed WHERE rank <= 20
 
 
 def queries() -> dict:
-    made = (op2_bit_sliced_topk, op3_token_output, op4_mixing, op6_token_counts, op7_toxicity, op8_bottom_k_near_duplicates, op9_decontamination, op10_language_id)
+    made = (op1_pii_surrogates, op5_size_tiered_shards, op2_bit_sliced_topk, op3_token_output, op4_mixing, op6_token_counts, op7_toxicity, op8_bottom_k_near_duplicates, op9_decontamination, op10_language_id)
     return {f.__name__: f for f in made}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_bit_sliced_topk": SQL_TOPK, "op4_mixing": mixing.oracle(MIX, MIX_SHARE, DOMAIN_SQL, 2, MIX_SEED), "op9_decontamination": decontam.oracle()}
+    return {"op2_bit_sliced_topk": SQL_TOPK, "op5_size_tiered_shards": SQL_SHARDS, "op4_mixing": mixing.oracle(MIX, MIX_SHARE, DOMAIN_SQL, 2, MIX_SEED), "op9_decontamination": decontam.oracle()}
