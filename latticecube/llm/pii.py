@@ -50,7 +50,7 @@ _upper = r"[A-ZÀ-ÖØ-ÞА-ЯЁΑ-Ω]"
 _name = _upper + r"[\w'’-]*[^\W\d_]"
 EMAIL = re.compile(r"[A-Za-z0-9._%+-]+@(?:[A-Za-z0-9-]+\.)+[A-Za-z]{2,}")
 SECRET = re.compile(r"(?i:\b(?:token|secret|password|passwd|api[_-]?key|access[_-]?key)\b\s*[:=]\s*)([\"'])([^\"'\s]{6,})\1|\b([0-9a-f]{32,})\b")
-NUMBER = re.compile(r"(?<![\w.])(?:\d{1,3}(?:\.\d{1,3}){3}(?![\w]|\.\d)|\d{3}-\d{2}-\d{4}(?![\w-])|\d(?:[ -]?\d){12,18}(?![\w-])|\+\d{1,3}[ .-]?(?:\(\d{1,4}\)[ .-]?)?\d{2,4}(?:[ .-]?\d{2,4}){1,4}(?!\w)|\(\d{3}\) ?\d{3}-\d{4}(?!\w)|\d{3}[.-]\d{3}[.-]\d{4}(?!\w))")
+NUMBER = re.compile(r"(?<!\w)(?<!\d\.)(?:\d{1,3}(?:\.\d{1,3}){3}(?![\w]|\.\d)|\d{3}-\d{2}-\d{4}(?![\w-])|\d(?:[ -]?\d){12,18}(?![\w-])|\+\d{1,3}[ .-]?(?:\(\d{1,4}\)[ .-]?)?\d{2,4}(?:[ .-]?\d{2,4}){1,4}(?!\w)|\(\d{3}\) ?\d{3}-\d{4}(?!\w)|\d{3}[.-]\d{3}[.-]\d{4}(?!\w))")
 IBAN = re.compile(r"\b[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?\b")
 NAME = re.compile(rf"\b(?:(?:{'|'.join(TITLES)})\.? ({_name})(?: ({_name}))?|({'|'.join(_given)}) ({_name})(?: ({_name}))?)")
 _digit = re.compile(r"\d{2}|\(\d{3}\)").search
