@@ -1,9 +1,510 @@
-"""Registered queries and their SQL."""
+"""Registered queries with their SQL, and the experiments of the evaluation."""
 
+from __future__ import annotations
 
-def queries():
-    return {}
+from collections.abc import Callable
 
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-def oracle_sql():
-    return {}
+from latticecube import files, metrics, sqlfront
+from latticecube.functions.aggregates import Agg, UserAgg
+from latticecube.functions.tables import CuboidsOf, chain_table, lattice_table
+from latticecube.operators import answer, maintain, recovery
+from latticecube.operators import materialize as M
+from latticecube.operators.baselines import cuboid_jobs
+from latticecube.operators.store import SlotStore, SnapshotPolicy
+from latticecube.plans import slots as S
+from latticecube.plans.chains import plan_chains
+from latticecube.sources import tables as T
+from latticecube.spec import CubeSpec
+from latticecube.streaming import stream
+
+POSD = ("l_partkey", "l_orderkey", "l_suppkey", "l_shipdate")
+FLAGS = ("l_returnflag", "l_linestatus", "ship_year")
+SUM_QTY, MEDIAN_QTY = Agg("sum", "l_quantity", alias="sum_qty"), Agg("median", "l_quantity", alias="median_qty")
+
+
+def spec4(*aggs: Agg, **more) -> CubeSpec:
+    return CubeSpec(POSD, aggs, **more)
+
+
+def flag_spec(*aggs: Agg, **more) -> CubeSpec:
+    return CubeSpec(FLAGS, aggs, derived={"ship_year": "year(l_shipdate)"}, **more)
+
+
+def lineitem(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return T.read_table(spark, sf_dir, "lineitem")
+
+
+def rounded(df: DataFrame, *names: str) -> DataFrame:
+    """Six digits, without a negative zero."""
+    return df.withColumns({n: F.round(F.col(n), 6) + F.lit(0.0) for n in names})
+
+
+def _cube(spec: CubeSpec, **how) -> Callable[[SparkSession, str], DataFrame]:
+    return lambda spark, sf: M.materialize(lineitem(spark, sf), spec, **how).df
+
+
+def _new_store(spark: SparkSession, spec: CubeSpec, **more) -> SlotStore:
+    return SlotStore(spark, files.scratch_dir(spark), spec, **more)
+
+
+def _refreshed(spec: CubeSpec, manner: str, percents: list[int], **more) -> Callable[[SparkSession, str], DataFrame]:
+    def query(spark: SparkSession, sf: str) -> DataFrame:
+        rows = lineitem(spark, sf)
+        store = _new_store(spark, spec, **more)
+        maintain.materialize_cached(T.base_part(rows), spec, store, "input" if manner.startswith("recompute") else "view")
+        at, deltas = 0, []
+        for p in percents:
+            deltas.append(T.delta_part(rows, p, at))
+            at += p
+        return maintain.refresh_many(store, deltas, manner, compact_every=2).cube.df
+
+    return query
+
+
+def _reloaded(spec: CubeSpec, percent: int) -> Callable[[SparkSession, str], DataFrame]:
+    def query(spark: SparkSession, sf: str) -> DataFrame:
+        rows, root = lineitem(spark, sf), files.scratch_dir(spark)
+        maintain.view_states(T.base_part(rows), spec).write.parquet(f"{root}/view")
+        return maintain.incremental_reload(f"{root}/view", T.delta_part(rows, percent), spec, f"{root}/delta").df
+
+    return query
+
+
+def _recompute_reload(spec: CubeSpec, percent: int) -> Callable[[SparkSession, str], DataFrame]:
+    def query(spark: SparkSession, sf: str) -> DataFrame:
+        rows = lineitem(spark, sf)
+        return maintain.refresh(_new_store(spark, spec), T.delta_part(rows, percent), "recompute_reload", base=T.base_part(rows)).cube.df
+
+    return query
+
+
+def _recovered(spec: CubeSpec, manner: str) -> Callable[[SparkSession, str], DataFrame]:
+    """Lose the state of two chains after a refresh, rebuild it, and read the cube from the state."""
+
+    def query(spark: SparkSession, sf: str) -> DataFrame:
+        rows = lineitem(spark, sf)
+        base, delta = T.base_part(rows), T.delta_part(rows, 20)
+        kind = "view" if manner == "incremental" else "input"
+        store = _new_store(spark, spec, snapshots=SnapshotPolicy(None))
+        maintain.materialize_cached(base, spec, store, kind)
+        if manner == "recompute":
+            maintain.snapshot(store)
+        root = store.root
+        maintain.refresh(store, delta, "incremental_reuse" if kind == "view" else "recompute_reuse", keep_delta=f"{root}/deltas/1")
+        published = f"{root}/published"
+        if kind == "view":
+            maintain.view_states(base.unionByName(delta), spec).write.parquet(published)
+        for i in (0, 2):
+            for r in store.manifest()["chains"][i]["runs"]:
+                store.files.delete(r["path"])
+        lost = recovery.damaged(store)
+        m = recovery.recover(store, lost, manner, published=spark.read.parquet(published) if kind == "view" else None)
+        return maintain.current(store, m)
+
+    return query
+
+
+def _events_spec(*aggs: Agg) -> CubeSpec:
+    return CubeSpec(("user_id", "event_type", "day"), aggs, derived={"day": "cast(ts as date)"})
+
+
+def _profiled(spark: SparkSession, sf: str) -> DataFrame:
+    rows, spec = lineitem(spark, sf), spec4(SUM_QTY)
+    chains = plan_chains(spec.dims).chains
+    widths = S.profiled_slots(rows, spec, chains, 24, lambda df: S.systematic_sample(df, 20))
+    return M.materialize(rows, spec, slots=widths).df
+
+
+def _modelled(spark: SparkSession, sf: str) -> DataFrame:
+    rows, spec = lineitem(spark, sf), spec4(SUM_QTY)
+    return M.materialize(rows, spec, slots=S.model_slots(rows, spec, plan_chains(spec.dims).chains, 24)).df
+
+
+def _ranged(spark: SparkSession, sf: str) -> DataFrame:
+    rows, spec = lineitem(spark, sf), spec4(SUM_QTY)
+    chains = plan_chains(spec.dims).chains
+    return M.materialize(rows, spec, slots=S.range_bounds(rows, spec, chains, S.even_slots(len(chains), 24))).df
+
+
+def _balance(spark: SparkSession, sf: str) -> DataFrame:
+    """The slots of each chain by number of copies dealt to it: all of a chain's slots together hold every row once."""
+    rows, spec = lineitem(spark, sf), spec4(SUM_QTY)
+    cube = M.plan(spec, 24)
+    return M.fan_out(spec.prepared(rows), cube).groupBy(F.col("batch").cast("int").alias("chain")).agg(F.count("*").alias("copies"), F.sum("m_l_quantity").alias("quantity"))
+
+
+def _stream_cube(spark: SparkSession, sf: str) -> DataFrame:
+    """Six days of the events at a time through the micro-batch refresh of a store."""
+    root, spec = files.scratch_dir(spark), _events_spec(Agg("sum", "n", alias="sum_n"), Agg("count", alias="n_events"), Agg("min", "value", alias="min_value"), Agg("max", "value", alias="max_value"))
+    events = T.read_table(spark, sf, "events")
+    events.withColumn("part", F.floor((F.dayofmonth("ts") - 1) / 6)).write.partitionBy("part").parquet(f"{root}/in")
+    schema = events.schema
+    source = spark.readStream.schema(schema).option("maxFilesPerTrigger", 2).option("recursiveFileLookup", True).parquet(f"{root}/in").withColumn("n", F.col("event_id") % 10)
+    store = SlotStore(spark, f"{root}/store", spec)
+    stream.stream_refresh(source, store, "incremental_reuse", f"{root}/check").awaitTermination()
+    return maintain.current(store)
+
+
+def _native_stream(spark: SparkSession, sf: str) -> DataFrame:
+    root, spec = files.scratch_dir(spark), _events_spec(Agg("median", "value", alias="median_value"), Agg("count", alias="n_events"))
+    T.read_table(spark, sf, "events").repartition(3).write.parquet(f"{root}/in")
+    cells = stream.native_stream_cube(stream.with_event_time(T.read_events_stream(spark, f"{root}/in")), spec)
+    name = f"stream_{root.rsplit('/', 1)[1]}"
+    stream.run_to_table(cells, name, "complete", f"{root}/check")
+    return spark.table(name)
+
+
+def _windows(spark: SparkSession, sf: str) -> DataFrame:
+    """The stream's time windows with a watermark and repeated deliveries dropped, on the table as a bounded source."""
+    events = stream.with_event_time(T.read_table(spark, sf, "events")).dropDuplicates(["event_id"])
+    cells = stream.native_stream_cube(events, CubeSpec(("event_type",), (Agg("count", alias="n_events"), Agg("max", "value", alias="max_value"))), stream.TimeDim("ts", "2 days", "1 day"))
+    return cells.select("event_type", F.col("window.start").cast("timestamp_ntz").alias("start"), "n_events", "max_value")
+
+
+def _user(spark: SparkSession, sf: str) -> DataFrame:
+    """An own aggregate: the sum of squares, and how much it exceeds the square of the sum over the count."""
+    own = UserAgg(lambda x: {"q": F.sum(x * x)}, lambda s: F.sum(s), lambda q: q)
+    return M.materialize(lineitem(spark, sf), flag_spec(Agg("user", "l_quantity", alias="squares", user=own))).df
+
+
+def _approx(spark: SparkSession, sf: str) -> DataFrame:
+    """Sketch estimates against exact values: whether each cell is within ten percent."""
+    cells = M.materialize(lineitem(spark, sf), flag_spec(Agg("approx_distinct", "l_partkey", alias="a"), Agg("approx_median", "l_quantity", alias="m"))).df
+    exact = M.materialize(lineitem(spark, sf), flag_spec(Agg("count_distinct", "l_partkey", alias="ea"))).df
+    exact_m = M.materialize(lineitem(spark, sf), flag_spec(MEDIAN_QTY)).df
+    same = lambda x, y: [x[c].eqNullSafe(y[c]) for c in ("cuboid_id", *FLAGS)]
+    both = cells.join(exact, same(cells, exact)).join(exact_m, same(cells, exact_m))
+    near = (F.abs(F.col("a") - F.col("ea")) <= 0.1 * F.col("ea") + 1) & (F.abs(F.col("m") - F.col("median_qty")) <= 5)
+    return both.select(cells["cuboid_id"], *[cells[d] for d in FLAGS], near.alias("near"))
+
+
+def _sql(spark: SparkSession, sf: str) -> DataFrame:
+    lineitem(spark, sf).createOrReplaceTempView("lc_lineitem")
+    made = sqlfront.cube_sql(spark, "SELECT l_returnflag, l_linestatus, SUM(l_quantity) AS sum_qty, COUNT(*) AS n FROM lc_lineitem WHERE l_discount < 0.05 GROUP BY CUBE(l_returnflag, l_linestatus)")
+    return made.df
+
+
+def _touched(which) -> Callable[[SparkSession, str], DataFrame]:
+    def query(spark: SparkSession, sf: str) -> DataFrame:
+        rows, spec = lineitem(spark, sf), CubeSpec(POSD[:3], (SUM_QTY,))
+        return which(M.materialize(T.base_part(rows), spec), T.delta_part(rows, 20)).select("cuboid_id", *spec.dims)
+
+    return query
+
+
+def _diff(spark: SparkSession, sf: str) -> DataFrame:
+    """Cells that a delta of five percent changes or makes, old and new."""
+    rows, spec = lineitem(spark, sf), flag_spec(SUM_QTY)
+    a = M.materialize(T.base_part(rows), spec)
+    return answer.cube_diff(a, M.materialize(T.base_part(rows).unionByName(T.delta_part(rows, 5)), spec))
+
+
+def _on(spec: CubeSpec, use) -> Callable[[SparkSession, str], DataFrame]:
+    return lambda spark, sf: use(M.materialize(lineitem(spark, sf), spec))
+
+
+def _star(spark: SparkSession, sf: str) -> DataFrame:
+    spec = CubeSpec(("r_name", "c_mktsegment", "ship_year", "l_returnflag"), (Agg("sum", "revenue", alias="revenue"), Agg("avg", "l_discount", alias="avg_discount"), MEDIAN_QTY), derived={"ship_year": "year(l_shipdate)", "revenue": "l_extendedprice * (1 - l_discount)"})
+    out = M.materialize(T.star_fact(spark, sf), spec, feed="finest").df
+    return out.withColumn("revenue", F.round("revenue", 2)).withColumn("avg_discount", F.round("avg_discount", 6))
+
+
+def _corpus(spark: SparkSession, sf: str) -> DataFrame:
+    docs = T.read_table(spark, sf, "documents").select("doc_id", "lang", "source", "n_chars").join(T.read_table(spark, sf, "labels"), "doc_id", "left")
+    spec = CubeSpec(("lang", "source", "quality"), (Agg("count", alias="n_docs"), Agg("sum", "n_chars", alias="sum_chars"), Agg("median", "n_chars", alias="median_chars")), include_all=True)
+    return M.materialize(docs, spec).df
+
+
+def _as_of(spark: SparkSession, sf: str) -> DataFrame:
+    """For each tenth event the last value that its user had before or then, among the others."""
+    events = T.read_table(spark, sf, "events").select("event_id", "ts", "user_id", "value")
+    versions = events.where("event_id % 10 <> 0").groupBy("user_id", "ts").agg(F.max("value").alias("value"))
+    return answer.cube_as_of(versions, events.where("event_id % 10 = 0").select("event_id", "ts", "user_id"), "ts", ["user_id"], "value").select("event_id", "user_id", "value")
+
+
+def _active(spark: SparkSession, sf: str) -> DataFrame:
+    """Line items shipped within sixty days from their order's date."""
+    orders = T.read_table(spark, sf, "orders").select("o_orderkey", F.col("o_orderdate").alias("lo"), (F.col("o_orderdate") + F.expr("INTERVAL 60 DAYS")).alias("hi"))
+    items = lineitem(spark, sf).select("l_orderkey", "l_linenumber", "l_shipdate")
+    found = answer.active_in(items, orders, "l_shipdate", "lo", "hi").where("l_orderkey = o_orderkey")
+    return found.groupBy("l_orderkey").agg(F.count("*").alias("n"))
+
+
+BANDS = [("low", 0.0, 1000.0), ("middle", 1000.0, 1500.0), ("high", 1500.0, 1e9)]
+
+
+def _bands(spark: SparkSession, sf: str) -> DataFrame:
+    parts = answer.band(T.read_table(spark, sf, "part"), BANDS, "p_retailprice")
+    return M.materialize(parts, CubeSpec(("band", "p_brand"), (Agg("count", alias="n"), Agg("max", "p_size", alias="max_size")))).df
+
+
+def _cuboids_of(spark: SparkSession, sf: str) -> DataFrame:
+    return CuboidsOf(F.lit("A,B,C,D"), F.lit("1000100000100010"))
+
+
+ALL_AGGS = (
+    Agg("count", alias="n"), Agg("min", "l_quantity", alias="min_qty"), Agg("max", "l_quantity", alias="max_qty"), Agg("avg", "l_quantity", alias="avg_qty"), SUM_QTY,
+)
+HELD_AGGS = (MEDIAN_QTY, Agg("percentile", "l_quantity", p=0.9, alias="p90_qty"), Agg("mode", "l_quantity", alias="mode_qty"), Agg("count_distinct", "l_quantity", alias="distinct_qty"))
+PAIR_AGGS = tuple(Agg(fn, "l_quantity", "l_extendedprice", alias=fn) for fn in ("corr", "regr_slope", "regr_intercept", "regr_r2"))
+PARTIAL = tuple(map(frozenset, (("l_partkey", "l_suppkey"), ("l_orderkey",), ("l_shipdate", "l_suppkey"), ("l_suppkey",))))
+AGE = {"l_shipdate"}
+
+
+def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    five = CubeSpec((*POSD, "receiptdate"), (SUM_QTY,))
+    three = CubeSpec(POSD[:3], (SUM_QTY,))
+    flags = flag_spec(SUM_QTY, Agg("count", alias="n"))
+    return {
+        "cube_sum_posd": _cube(spec4(SUM_QTY)),
+        "cube_median_posd": _cube(spec4(MEDIAN_QTY)),
+        "cube_sum_3d": _cube(three),
+        "cube_sum_5d": lambda spark, sf: M.materialize(T.with_receipt_date(lineitem(spark, sf)), five).df,
+        "cube_multi_agg": _cube(spec4(SUM_QTY, MEDIAN_QTY, Agg("count", alias="n"), Agg("max", "l_linenumber", alias="max_line"))),
+        "cube_partial": _cube(spec4(SUM_QTY, cuboids=PARTIAL), strategy="exact"),
+        "cube_all_cell": _cube(CubeSpec(POSD[:3], (SUM_QTY, MEDIAN_QTY), include_all=True)),
+        "cube_ordered_engine": _cube(spec4(SUM_QTY, MEDIAN_QTY), engine="ordered"),
+        "cube_symmetric": _cube(spec4(SUM_QTY), strategy="symmetric"),
+        "cube_greedy": _cube(spec4(SUM_QTY), strategy="greedy"),
+        "cube_waves": _cube(spec4(SUM_QTY), waves=3),
+        "cube_combine": _cube(flags, combine="on"),
+        "cube_combine_auto": _cube(flags, combine="auto"),
+        "cube_finest_feed": _cube(flag_spec(SUM_QTY, MEDIAN_QTY), feed="finest"),
+        "cube_filtered": _cube(spec4(SUM_QTY, where="l_discount >= 0.05 AND l_returnflag = 'R'")),
+        "cube_profiled_slots": _profiled,
+        "cube_model_slots": _modelled,
+        "cube_range_slots": _ranged,
+        "slot_copies": _balance,
+        "base_per_cuboid": _cube(spec4(SUM_QTY), method="per_cuboid_jobs"),
+        "base_fanout": _cube(spec4(SUM_QTY), method="fanout_unshared"),
+        "base_fanout_median": _cube(CubeSpec(POSD[:3], (MEDIAN_QTY,)), method="fanout_unshared"),
+        "base_native": _cube(spec4(SUM_QTY), method="native_cube"),
+        "base_native_median": _cube(CubeSpec(POSD[:3], (MEDIAN_QTY,)), method="native_cube"),
+        "refresh_sum_incr_reuse": _refreshed(spec4(SUM_QTY), "incremental_reuse", [20]),
+        "refresh_sum_incr_on_read": _refreshed(flag_spec(SUM_QTY), "incremental_reuse", [5, 5, 10], merge="on_read"),
+        "refresh_sum_incr_reload": _reloaded(spec4(SUM_QTY), 20),
+        "refresh_sum_recompute_reuse": _refreshed(spec4(SUM_QTY), "recompute_reuse", [20]),
+        "refresh_sum_recompute_reload": _recompute_reload(spec4(SUM_QTY), 20),
+        "refresh_median_recompute_reuse": _refreshed(spec4(MEDIAN_QTY), "recompute_reuse", [20]),
+        "refresh_median_recompute_reload": _recompute_reload(spec4(MEDIAN_QTY), 20),
+        "refresh_multi_delta": _refreshed(CubeSpec(POSD[:3], (SUM_QTY,)), "incremental_reuse", [20, 20, 20, 20, 20], snapshots=SnapshotPolicy(2)),
+        "refresh_moments": lambda spark, sf: rounded(_refreshed(flag_spec(Agg("avg", "l_quantity", alias="avg_qty"), Agg("stddev", "l_quantity", alias="stddev_qty")), "incremental_reuse", [50])(spark, sf), "avg_qty", "stddev_qty"),
+        "recover_incremental": _recovered(CubeSpec(POSD[:3], (SUM_QTY,)), "incremental"),
+        "recover_recompute": _recovered(CubeSpec(POSD[:3], (MEDIAN_QTY,)), "recompute"),
+        "agg_minmaxavg": lambda spark, sf: rounded(_cube(flag_spec(*ALL_AGGS))(spark, sf), "avg_qty"),
+        "agg_stddev": lambda spark, sf: rounded(_cube(flag_spec(Agg("stddev", "l_quantity", alias="stddev_qty"), Agg("variance", "l_quantity", alias="var_qty")))(spark, sf), "stddev_qty", "var_qty"),
+        "agg_corr_regr": lambda spark, sf: rounded(_cube(flag_spec(*PAIR_AGGS))(spark, sf), "corr", "regr_slope", "regr_r2").withColumn("regr_intercept", F.round("regr_intercept", 4)),
+        "agg_median_mode_distinct": _cube(flag_spec(*HELD_AGGS)),
+        "agg_user": _user,
+        "agg_sketches": _approx,
+        "delta_view": lambda spark, sf: M.materialize(T.delta_part(lineitem(spark, sf), 20), spec4(SUM_QTY)).df,
+        "new_cells": _touched(maintain.delta_new_cells),
+        "touched_cells": _touched(maintain.touched_cells),
+        "cube_diff": _diff,
+        "answer_rollup": _on(flags, lambda c: answer.rollup_view(c, ["l_returnflag", "ship_year"])),
+        "answer_filtered": _on(flags, lambda c: answer.answer(c, ["l_returnflag"], "ship_year >= 1995", {"ship_year"})),
+        "answer_drill": _on(flags, lambda c: answer.drill(c, {"l_returnflag": "R"}, "ship_year")),
+        "answer_slice": _on(flags, lambda c: answer.slice_(c, ["l_returnflag", "l_linestatus"], {"l_linestatus": "F"})),
+        "answer_dice": _on(flags, lambda c: answer.dice(c, ["l_returnflag", "ship_year"], {"l_returnflag": ["A", "R"], "ship_year": [1994, 1995, 1996]})),
+        "top_cells": _on(flags, lambda c: answer.top_cells(c, ["l_returnflag", "ship_year"], 7, "sum_qty")),
+        "iceberg": _on(flags, lambda c: answer.iceberg(c, "n", 500)),
+        "window_share": _on(flags, lambda c: rounded(answer.share_of_parent(c, ["l_returnflag", "ship_year"], ["l_returnflag"], "sum_qty"), "share")),
+        "window_moving": _on(flags, lambda c: answer.moving_sum(c, ["l_returnflag", "ship_year"], "ship_year", "sum_qty", 3)),
+        "pivot_view": _on(flags, lambda c: answer.pivot_view(c, ["ship_year"], "l_returnflag", ["A", "N", "R"], "sum_qty")),
+        "sql_front": _sql,
+        "star_cube": _star,
+        "band_cube": _bands,
+        "events_cube": lambda spark, sf: rounded(M.materialize(T.read_table(spark, sf, "events"), _events_spec(Agg("count", alias="n_events"), Agg("median", "value", alias="median_value"), Agg("avg", "value", alias="avg_value"))).df, "avg_value", "median_value"),
+        "events_stream_cube": _stream_cube,
+        "events_native_stream": lambda spark, sf: rounded(_native_stream(spark, sf), "median_value"),
+        "events_windows": _windows,
+        "corpus_cube": _corpus,
+        "as_of": _as_of,
+        "interval_join": _active,
+        "lattice_table": lambda spark, sf: lattice_table(spark, ["A", "B", "C", "D"]),
+        "chain_plan_table": lambda spark, sf: chain_table(spark, ["A", "B", "C", "D"]),
+        "cuboids_of": _cuboids_of,
+    }
+
+
+# the same by SQL
+
+
+def _cube_sql(dims, aggs: str, source: str = "lineitem", where: str = "", sets=None, include_all: bool = False) -> str:
+    """Grouping sets; the id is the same bitmap in both engines."""
+    dims = list(dims)
+    if sets is None:
+        sets = [[d for i, d in enumerate(dims) if not m >> (len(dims) - 1 - i) & 1] for m in range((1 << len(dims)) - 1)]
+    listed = ", ".join("(" + ", ".join(s) + ")" for s in [*sets, *([[]] if include_all else [])])
+    return f"SELECT CAST(grouping({', '.join(dims)}) AS INTEGER) AS cuboid_id, {', '.join(dims)}, {aggs} FROM {source} {('WHERE ' + where) if where else ''} GROUP BY GROUPING SETS ({listed})"
+
+
+def oracle_sql() -> dict[str, str]:
+    s, m = "sum(l_quantity) AS sum_qty", "median(l_quantity) AS median_qty"
+    u = "(l_orderkey * 31 + l_linenumber) % 200"
+    posd, pos = POSD, POSD[:3]
+    year = "(SELECT *, CAST(year(l_shipdate) AS INTEGER) AS ship_year FROM lineitem)"
+    sums = "sum(l_quantity) AS sum_qty, count(*) AS n"
+    flags = _cube_sql(FLAGS, sums, year)
+    r = lambda e, n=6: f"round({e}, {n}) + 0.0"
+    cube = _cube_sql(posd, s)
+    upto = lambda p: _cube_sql(posd, s, where=f"{u} < {100 + p}")
+    events = "(SELECT *, CAST(ts AS DATE) AS day, event_id % 10 AS n FROM events)"
+    event_dims = ("user_id", "event_type", "day")
+    pairs = ", ".join(f"{r(f'{fn}(l_quantity, l_extendedprice)', 4 if fn == 'regr_intercept' else 6)} AS {fn}" for fn in ("corr", "regr_slope", "regr_intercept", "regr_r2"))
+    star = "(SELECT r_name, c_mktsegment, CAST(year(l_shipdate) AS INTEGER) AS ship_year, l_returnflag, l_quantity, l_discount, l_extendedprice * (1 - l_discount) AS revenue FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey)"
+    cells = lambda where: _cube_sql(pos, s, where=where)
+    same = " AND ".join(f"a.{c} IS NOT DISTINCT FROM b.{c}" for c in ("cuboid_id", *pos))
+    base, delta = cells(f"{u} < 100"), cells(f"{u} >= 100 AND {u} < 120")
+    diff = lambda p: _cube_sql(FLAGS, s, year, where=f"{u} < {100 + p}")
+    top = lambda dims: f"SELECT {', '.join(dims)}, {sums} FROM {year} GROUP BY {', '.join(dims)}"
+    ry = top(["l_returnflag", "ship_year"])
+    mode = "(SELECT l_returnflag, l_linestatus, CAST(year(l_shipdate) AS INTEGER) AS ship_year, l_quantity FROM lineitem)"
+    held = _cube_sql(FLAGS, f"{m}, quantile_cont(l_quantity, 0.9) AS p90_qty, list_max(list_transform(list_filter(map_entries(histogram(l_quantity)), lambda e: e.value = list_max(map_values(histogram(l_quantity)))), lambda e: e.key)) AS mode_qty, count(DISTINCT l_quantity) AS distinct_qty", mode)
+    lattice = ["A", "B", "C", "D", "A,B", "B,C", "C,D", "A,D", "A,C", "B,D", "A,B,C", "B,C,D", "A,C,D", "A,B,D", "A,B,C,D"]
+    plan = [("A,B,C,D", "A", 4, (1, 5, 11, 15)), ("B,C,D", "B", 3, (2, 6, 12)), ("C,D,A", "C", 3, (3, 7, 13)), ("D,A,B", "D", 3, (4, 8, 14)), ("A,C", "A,C", 1, (9,)), ("B,D", "B,D", 1, (10,))]
+    partial = [[d for d in posd if d in c] for c in PARTIAL]
+    return {
+        "cube_sum_posd": cube,
+        "cube_median_posd": _cube_sql(posd, m),
+        "cube_sum_3d": _cube_sql(pos, s),
+        "cube_sum_5d": _cube_sql([*posd, "receiptdate"], s, "(SELECT *, l_shipdate + to_days(CAST(1 + (l_orderkey * 7 + l_linenumber) % 30 AS INTEGER)) AS receiptdate FROM lineitem)"),
+        "cube_multi_agg": _cube_sql(posd, f"{s}, {m}, count(*) AS n, max(l_linenumber) AS max_line"),
+        "cube_partial": _cube_sql(posd, s, sets=partial),
+        "cube_all_cell": _cube_sql(pos, f"{s}, {m}", include_all=True),
+        "cube_ordered_engine": _cube_sql(posd, f"{s}, {m}"),
+        **dict.fromkeys(("cube_symmetric", "cube_greedy", "cube_waves", "cube_profiled_slots", "cube_model_slots", "cube_range_slots", "base_per_cuboid", "base_fanout", "base_native"), cube),
+        **dict.fromkeys(("cube_combine", "cube_combine_auto"), flags),
+        "cube_finest_feed": _cube_sql(FLAGS, f"{s}, {m}", year),
+        "cube_filtered": _cube_sql(posd, s, where="l_discount >= 0.05 AND l_returnflag = 'R'"),
+        "slot_copies": "SELECT CAST(i AS INTEGER) AS chain, count(*) AS copies, sum(l_quantity) AS quantity FROM lineitem, range(6) t(i) GROUP BY i",
+        **dict.fromkeys(("base_fanout_median", "base_native_median"), _cube_sql(pos, m)),
+        **dict.fromkeys(("refresh_sum_incr_reuse", "refresh_sum_incr_reload", "refresh_sum_recompute_reuse", "refresh_sum_recompute_reload"), upto(20)),
+        "refresh_sum_incr_on_read": _cube_sql(FLAGS, s, year, where=f"{u} < 120"),
+        **dict.fromkeys(("refresh_median_recompute_reuse", "refresh_median_recompute_reload"), _cube_sql(posd, m, where=f"{u} < 120")),
+        "refresh_multi_delta": cells(f"{u} < 200"),
+        "refresh_moments": _cube_sql(FLAGS, f"{r('avg(l_quantity)')} AS avg_qty, {r('stddev_samp(l_quantity)')} AS stddev_qty", year, where=f"{u} < 150"),
+        "recover_incremental": cells(f"{u} < 120"),
+        "recover_recompute": _cube_sql(pos, m, where=f"{u} < 120"),
+        "agg_minmaxavg": _cube_sql(FLAGS, f"count(*) AS n, min(l_quantity) AS min_qty, max(l_quantity) AS max_qty, {r('avg(l_quantity)')} AS avg_qty, {s}", year),
+        "agg_stddev": _cube_sql(FLAGS, f"{r('stddev_samp(l_quantity)')} AS stddev_qty, {r('var_samp(l_quantity)')} AS var_qty", year),
+        "agg_corr_regr": _cube_sql(FLAGS, pairs, year),
+        "agg_median_mode_distinct": held,
+        "agg_user": _cube_sql(FLAGS, "sum(l_quantity * l_quantity) AS squares", year),
+        "agg_sketches": _cube_sql(FLAGS, "true AS near", year),
+        "delta_view": _cube_sql(posd, s, where=f"{u} >= 100 AND {u} < 120"),
+        "new_cells": f"SELECT cuboid_id, {', '.join(pos)} FROM ({delta}) a WHERE NOT EXISTS (SELECT 1 FROM ({base}) b WHERE {same})",
+        "touched_cells": f"SELECT cuboid_id, {', '.join(pos)} FROM ({base}) a WHERE EXISTS (SELECT 1 FROM ({delta}) b WHERE {same})",
+        "cube_diff": f"SELECT *, 'a' AS side FROM (({diff(0)}) EXCEPT ALL ({diff(5)})) UNION ALL SELECT *, 'b' AS side FROM (({diff(5)}) EXCEPT ALL ({diff(0)}))",
+        "answer_rollup": ry,
+        "answer_filtered": f"SELECT l_returnflag, {sums} FROM {year} WHERE ship_year >= 1995 GROUP BY l_returnflag",
+        "answer_drill": f"{ry} HAVING l_returnflag = 'R'",
+        "answer_slice": f"{top(['l_returnflag', 'l_linestatus'])} HAVING l_linestatus = 'F'",
+        "answer_dice": f"{ry} HAVING l_returnflag IN ('A', 'R') AND ship_year IN (1994, 1995, 1996)",
+        "top_cells": f"{ry} ORDER BY sum_qty DESC, l_returnflag, ship_year LIMIT 7",
+        "iceberg": f"{flags} HAVING count(*) >= 500",
+        "window_share": f"SELECT *, {r('sum_qty / sum(sum_qty) OVER (PARTITION BY l_returnflag)')} AS share, CAST(rank() OVER (PARTITION BY l_returnflag ORDER BY sum_qty DESC) AS INTEGER) AS rank FROM ({ry})",
+        "window_moving": f"SELECT *, sum(sum_qty) OVER (PARTITION BY l_returnflag ORDER BY ship_year ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS moving FROM ({ry})",
+        "pivot_view": f"SELECT ship_year, {', '.join(f'sum(l_quantity) FILTER (l_returnflag = {v!r}) AS {v}' for v in 'ANR')} FROM {year} GROUP BY ship_year",
+        "sql_front": _cube_sql(["l_returnflag", "l_linestatus"], sums, where="l_discount < 0.05", include_all=True),
+        "star_cube": _cube_sql(["r_name", "c_mktsegment", "ship_year", "l_returnflag"], f"round(sum(revenue), 2) AS revenue, round(avg(l_discount), 6) AS avg_discount, {m}", star),
+        "band_cube": _cube_sql(["band", "p_brand"], "count(*) AS n, max(p_size) AS max_size", "(SELECT *, CASE WHEN p_retailprice >= 0 AND p_retailprice < 1000 THEN 'low' WHEN p_retailprice >= 1000 AND p_retailprice < 1500 THEN 'middle' WHEN p_retailprice >= 1500 AND p_retailprice < 1e9 THEN 'high' END AS band FROM part)"),
+        "events_cube": _cube_sql(event_dims, f"count(*) AS n_events, {r('median(value)')} AS median_value, {r('avg(value)')} AS avg_value", events),
+        "events_stream_cube": _cube_sql(event_dims, "CAST(sum(n) AS BIGINT) AS sum_n, count(*) AS n_events, min(value) AS min_value, max(value) AS max_value", events),
+        "events_native_stream": _cube_sql(event_dims, f"{r('median(value)')} AS median_value, count(*) AS n_events", events),
+        "events_windows": "SELECT event_type, start, count(*) AS n_events, max(value) AS max_value FROM (SELECT event_type, value, date_trunc('day', ts) - to_days(CAST(k AS INTEGER)) AS start FROM events, range(2) t(k)) GROUP BY event_type, start",
+        "corpus_cube": _cube_sql(["lang", "source", "quality"], "count(*) AS n_docs, CAST(sum(n_chars) AS BIGINT) AS sum_chars, median(n_chars) AS median_chars", "(SELECT d.lang, d.source, d.n_chars, l.quality FROM documents d LEFT JOIN labels l USING (doc_id))", include_all=True),
+        "as_of": "SELECT p.event_id, p.user_id, v.value FROM (SELECT * FROM events WHERE event_id % 10 = 0) p ASOF LEFT JOIN (SELECT user_id, ts, max(value) AS value FROM events WHERE event_id % 10 <> 0 GROUP BY user_id, ts) v ON p.user_id = v.user_id AND p.ts >= v.ts",
+        "interval_join": "SELECT l_orderkey, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE l_shipdate >= o_orderdate AND l_shipdate < o_orderdate + INTERVAL 60 DAY GROUP BY l_orderkey",
+        "lattice_table": "SELECT CAST(number AS INTEGER) AS number, CAST(n_dims AS INTEGER) AS n_dims, members FROM (VALUES " + ", ".join(f"({i}, {c.count(',') + 1}, '{c}')" for i, c in enumerate(lattice, 1)) + ") t(number, n_dims, members)",
+        "chain_plan_table": "SELECT CAST(chain AS INTEGER) AS chain, sort_dims, part_dims, CAST(members AS INTEGER) AS members, tag FROM (VALUES " + ", ".join(f"({i}, '{o}', '{p}', {n}, '{sum(1 << b for b in bits):016b}')" for i, (o, p, n, bits) in enumerate(plan)) + ") t(chain, sort_dims, part_dims, members, tag)",
+        "cuboids_of": "SELECT CAST(number AS INTEGER) AS number, members FROM (VALUES (1, 'A'), (5, 'A,B'), (11, 'A,B,C'), (15, 'A,B,C,D')) t(number, members)",
+    }
+
+
+# the experiments
+
+
+def _sizes(rows: DataFrame, copies: list[int]) -> dict[str, DataFrame]:
+    return {f"{k}x": T.replicated(rows, k) if k > 1 else rows for k in copies}
+
+
+def run_per_cuboid(rows: DataFrame, spec: CubeSpec) -> None:
+    """The baseline as the experiment runs it: the jobs one after another."""
+    for job in cuboid_jobs(rows, spec):
+        metrics.drain(job)
+
+
+def w1_materialization(rows: DataFrame, aggs: dict[str, Agg], copies: list[int], repeats: int = 3) -> list[dict]:
+    """Time and shuffle of each method, function and size, with and without a cache."""
+    out, spark = [], rows.sparkSession
+    for size, df in _sizes(rows, copies).items():
+        for fn, agg in aggs.items():
+            spec = spec4(agg)
+            kind = "view" if spec.mergeable() else "input"
+            methods = {
+                "per_cuboid_jobs": lambda df=df, spec=spec: run_per_cuboid(df, spec),
+                "fanout_unshared": lambda df=df, spec=spec: metrics.drain(M.materialize(df, spec, method="fanout_unshared").df),
+                "native_cube": lambda df=df, spec=spec: metrics.drain(M.materialize(df, spec, method="native_cube").df),
+                "shared_scan": lambda df=df, spec=spec: metrics.drain(M.materialize(df, spec).df),
+                "shared_scan_cached": lambda df=df, spec=spec, kind=kind: metrics.drain(maintain.materialize_cached(df, spec, _new_store(spark, spec), kind).df),
+            }
+            for name, fn_run in methods.items():
+                with metrics.watch(spark) as seen:
+                    fn_run()
+                out.append({"size": size, "fn": fn, "method": name, **metrics.timed(fn_run, repeats), "shuffle": seen.shuffle_cost(), "read": seen.read_cost()})
+    return out
+
+
+def w2_cache_overhead(w1: list[dict]) -> dict[tuple[str, str], float]:
+    by = {(r["size"], r["fn"], r["method"]): r["min"] for r in w1}
+    return {(s, f): metrics.overhead(by[s, f, "shared_scan_cached"], t) for (s, f, m), t in by.items() if m == "shared_scan"}
+
+
+def w3_load_balance(rows: DataFrame, r: int = 24, s: int = 20) -> dict[str, dict]:
+    """Evenness of slots by each allocation."""
+    spec = spec4(SUM_QTY)
+    chains = plan_chains(spec.dims).chains
+    profile = S.profiled_slots(rows, spec, chains, r, lambda df: S.systematic_sample(df, s))
+    plans = {"profiled": S.SlotPlan(tuple(profile)), "even": S.SlotPlan(tuple(S.even_slots(len(chains), r))), "model": S.SlotPlan(tuple(S.model_slots(rows, spec, chains, r))), "range": S.range_bounds(rows, spec, chains, profile)}
+    out = {}
+    for name, p in plans.items():
+        with metrics.watch(rows.sparkSession) as seen:
+            metrics.drain(M.materialize(rows, spec, slots=p).df)
+        out[name] = {"widths": list(p.widths), **metrics.slot_balance(seen.slots(r), list(p.widths))}
+    return out
+
+
+def w4_dimensions(rows: DataFrame, repeats: int = 3) -> list[dict]:
+    out = []
+    for n, df in ((3, rows), (4, rows), (5, T.with_receipt_date(rows))):
+        spec = CubeSpec((*POSD, "receiptdate")[:n], (SUM_QTY,))
+        for method in ("fanout_unshared", "shared_scan"):
+            out.append({"dims": n, "method": method, **metrics.timed(lambda df=df, spec=spec, method=method: metrics.drain(M.materialize(df, spec, method=method).df), repeats)})
+    return out
+
+
+def w5_w6_maintenance(rows: DataFrame, agg: Agg, manners: list[str], percents: list[int]) -> list[dict]:
+    """Refresh time of each manner and delta size; the first cube's time is kept apart."""
+    spark, spec, base, out = rows.sparkSession, spec4(agg), T.base_part(rows), []
+    for p in percents:
+        delta = T.delta_part(rows, p)
+        for manner in manners:
+            store, root = _new_store(spark, spec), files.scratch_dir(spark)
+            first = metrics.timed(lambda: {  # noqa: B023
+                "recompute_reuse": lambda: maintain.materialize_cached(base, spec, store, "input"),
+                "incremental_reuse": lambda: maintain.materialize_cached(base, spec, store, "view"),
+                "incremental_reload": lambda: maintain.view_states(base, spec).write.parquet(f"{root}/view"),
+                "recompute_reload": lambda: None,
+            }[manner](), 1)
+            with metrics.watch(spark) as seen:
+                if manner == "incremental_reload":
+                    cube = maintain.incremental_reload(f"{root}/view", delta, spec, f"{root}/delta", f"{root}/new")
+                else:
+                    cube = maintain.refresh(store, delta, manner, base=base).cube
+                metrics.drain(cube.df)
+            out.append({"delta": p, "manner": manner, "first_s": first["min"], "refresh_s": seen.seconds, "shuffle": seen.shuffle_cost(), "read": seen.read_cost()})
+    return out
