@@ -147,19 +147,16 @@ def refresh(store: SlotStore, delta: DataFrame, manner: str, base: DataFrame | N
         raise ValueError(f"{manner} needs a store of kind {kind}")
     if batch_id is not None and batch_id in m["batches"]:
         return Refreshed(M.CubeResult(spec, _with_all(current(store, m), spec, store, m), store.plan(m)), m["version"], manner)
-    cube, chains, gone = store.plan(m), [], []
+    cube, chains = store.plan(m), []
     for chain, width, d in zip(cube.chains, cube.slots.widths, m["chains"], strict=True):
         if kind == "input":
             runs = [*d["runs"], store.write_run(_chain_input(delta, spec, chain, width), chain, width, kind)]
         else:
-            fresh = _chain_view(delta, spec, chain, width)
+            runs = [*d["runs"], store.write_run(_chain_view(delta, spec, chain, width), chain, width, kind)]
             if store.merge_when == "on_write":
-                both = M.merge(_united([store.run(r) for r in d["runs"]] + [fresh]), spec, cell_keys(spec))
+                both = M.merge(store.table_over(runs), spec, cell_keys(spec))
                 both._lc_dealt = True
                 runs = [store.write_run(both, chain, width, kind)]
-                gone += d["runs"]
-            else:
-                runs = [*d["runs"], store.write_run(fresh, chain, width, kind)]
         chains.append(d | {"runs": runs})
     updates = m["updates"] + 1
     changes = {"chains": chains, "updates": updates, "batches": m["batches"] + ([batch_id] if batch_id is not None else [])}

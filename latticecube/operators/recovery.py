@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from latticecube.operators import materialize as M
-from latticecube.operators.maintain import _chain_input, _chain_view, _united
+from latticecube.operators.maintain import _chain_input, _chain_view
 from latticecube.operators.store import SlotStore, cell_keys
 
 
@@ -36,13 +36,14 @@ def recover(store: SlotStore, chains: list[int], manner: str, published: DataFra
         elif manner == "recompute":
             make = _chain_input if m["kind"] == "input" else _chain_view
             if m["snapshot"]:
-                parts = [store.state(m["snapshot"]["chains"][i])]
+                runs = list(m["snapshot"]["chains"][i]["runs"])
             elif base is not None:
-                parts = [make(base, spec, chain, width)]
+                runs = [store.write_run(make(base, spec, chain, width), chain, width, m["kind"])]
             else:
                 raise ValueError("neither a snapshot nor a base to recover from")
-            parts += [make(store.spark.read.parquet(p), spec, chain, width) for p in m["deltas"]]
-            rows = M.merge(_united(parts), spec, list(spec.dims) if m["kind"] == "input" else cell_keys(spec))
+            runs += [store.write_run(make(store.spark.read.parquet(p), spec, chain, width), chain, width, m["kind"]) for p in m["deltas"]]
+            rows = M.merge(store.table_over(runs), spec, list(spec.dims) if m["kind"] == "input" else cell_keys(spec))
+            rows._lc_dealt = True
         else:
             raise ValueError("manner is incremental or recompute")
         described[i] = d | {"runs": [store.write_run(rows, chain, width, m["kind"])]}

@@ -8,7 +8,9 @@ manifest that is created in one step after all its tables are written; a failed
 
 from __future__ import annotations
 
+import hashlib
 import json
+import re
 import uuid
 from dataclasses import dataclass
 
@@ -22,6 +24,10 @@ from latticecube.plans.chains import Chain
 from latticecube.spec import CubeSpec
 
 
+#: What the files of one write have in common in their names.
+_MARK = re.compile(r"part-\d+-([0-9a-f-]{36})")
+
+
 @dataclass(frozen=True)
 class SnapshotPolicy:
     """A snapshot after every so many updates: 1 is eager, None is never."""
@@ -67,29 +73,38 @@ class SlotStore:
 
     def write_run(self, rows: DataFrame, chain: Chain, width: int, label: str) -> dict:
         """Write one bucketed, sorted run of a chain's state."""
-        name = f"lc_{label}_{uuid.uuid4().hex}"
-        path = f"{self.root}/runs/{name}"
+        name, place = f"lc_{label}_{uuid.uuid4().hex}", "_".join(map(str, map(self.spec.dims.index, chain.order)))
+        path = f"{self.root}/runs/{place}/{name}"
         dealt = rows if getattr(rows, "_lc_dealt", False) else rows.repartition(width, *chain.part_dims)
         dealt.write.bucketBy(width, *chain.part_dims).sortBy(*chain.sort_dims).option("path", path).format("parquet").saveAsTable(name)
-        return {"table": name, "path": path, "schema": rows.schema.json(), "width": width, "part": list(chain.part_dims), "sort": list(chain.sort_dims)}
-
-    def run(self, r: dict) -> DataFrame:
-        """A run as a bucketed table, registered anew if this session doesn't know it."""
-        if not self.spark.catalog.tableExists(r["table"]):
-            columns = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in T.StructType.fromJson(json.loads(r["schema"])))
+        self.spark.sql(f"DROP TABLE {name}")  # the files stay: tables are put over sets of runs
+        files = [n for n in self.files.names(f"runs/{place}/{name}") if n.startswith("part-")]
+        marks = sorted({_MARK.match(n)[1] for n in files})
+        return {"root": f"{self.root}/runs/{place}", "path": path, "marks": marks, "schema": rows.schema.json(), "width": width, "part": list(chain.part_dims), "sort": list(chain.sort_dims)}
+
+    def table_over(self, runs: list[dict]) -> DataFrame:
+        """Runs of one chain as one bucketed table: a bucket's files of all runs are read by one task, and nothing is shuffled.
+
+        (A union of bucketed tables would rely on the planner to line up buckets; one scan can't go wrong.)
+        """
+        marks = sorted({m for r in runs for m in r["marks"]})
+        first = runs[0]
+        schema = T.StructType.fromJson(json.loads(first["schema"]))
+        if not marks:
+            return self.spark.createDataFrame([], schema)
+        name = "lc_state_" + hashlib.blake2b("|".join([first["root"], *marks]).encode(), digest_size=12).hexdigest()
+        if not self.spark.catalog.tableExists(name):
+            columns = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in schema)
             tick = lambda names: ", ".join(f"`{n}`" for n in names)
-            self.spark.sql(f"CREATE TABLE {r['table']} ({columns}) USING parquet OPTIONS (path '{r['path']}') CLUSTERED BY ({tick(r['part'])}) SORTED BY ({tick(r['sort'])}) INTO {r['width']} BUCKETS")
-        return self.spark.table(r["table"])
+            glob = "*{" + ",".join(marks) + "}*"
+            self.spark.sql(f"CREATE TABLE {name} ({columns}) USING parquet OPTIONS (path '{first['root']}', recursiveFileLookup 'true', pathGlobFilter '{glob}') CLUSTERED BY ({tick(first['part'])}) INTO {first['width']} BUCKETS")
+        return self.spark.table(name)
 
-    def state(self, chain: dict) -> DataFrame | None:
-        """All runs of a chain united; the bucketing survives the union."""
-        out = None
-        for r in chain["runs"]:
-            out = self.run(r) if out is None else out.unionByName(self.run(r))
-        return out
+    def state(self, chain: dict) -> DataFrame:
+        """All runs of a chain."""
+        return self.table_over(chain["runs"])
 
     def drop_run(self, r: dict) -> None:
-        self.spark.sql(f"DROP TABLE IF EXISTS {r['table']}")
         self.files.delete(r["path"])
 
     def retire_base(self) -> dict:

