@@ -139,7 +139,7 @@ class Agg:
         """The aggregate over rows of distinct values ``m_…`` with their counts ``cnt``."""
         x = F.col(f"m_{self.measure}")
         if self.fn in ("median", "percentile"):
-            return F.percentile(x, 0.5 if self.fn == "median" else self.p, F.col("cnt"))
+            return F.percentile(x, 0.5 if self.fn == "median" else self.p, F.col("__cnt"))
         if self.fn == "count_distinct":
             return F.count_distinct(x)
-        return F.max(F.when(x.isNotNull(), F.struct(F.col("cnt"), x.alias("v")))).getField("v")  # mode: the largest of the most frequent
+        return F.max(F.when(x.isNotNull(), F.struct(F.col("__cnt"), x.alias("v")))).getField("v")  # mode: the largest of the most frequent

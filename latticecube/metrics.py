@@ -44,7 +44,9 @@ class Seen:
 
 def _stages(spark: SparkSession):
     store = spark.sparkContext._jsc.sc().statusStore()
-    seq = store.stageList(None)
+    gateway = spark.sparkContext._gateway
+    none = gateway.jvm.java.util.ArrayList()
+    seq = store.stageList(None, False, False, gateway.new_array(gateway.jvm.double, 0), none)
     return store, [seq.apply(i) for i in range(seq.size())]
 
 

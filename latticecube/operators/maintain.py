@@ -95,8 +95,9 @@ def materialize_cached(df: DataFrame, spec: CubeSpec, store: SlotStore, cache: s
     cube = M.plan(spec, slots or M.default_slots(df, len(M.plan_chains(spec.dims, spec.cuboids, strategy).chains)), strategy=strategy)
     described = store.described(cube)
     make = _chain_input if cache == "input" else _chain_view
-    for chain, width, d in zip(cube.chains, cube.slots.widths, described, strict=True):
-        d["runs"] = [store.write_run(make(df, spec, chain, width), chain, width, cache)]
+    runs = store.write_runs([(make(df, spec, chain, width), chain, width, cache) for chain, width in zip(cube.chains, cube.slots.widths, strict=True)])
+    for d, r in zip(described, runs, strict=True):
+        d["runs"] = [r]
     m = store.commit(old, kind=cache, chains=described)
     return M.CubeResult(spec, _with_all(current(store, m), spec, store, m), cube)
 
@@ -147,17 +148,13 @@ def refresh(store: SlotStore, delta: DataFrame, manner: str, base: DataFrame | N
         raise ValueError(f"{manner} needs a store of kind {kind}")
     if batch_id is not None and batch_id in m["batches"]:
         return Refreshed(M.CubeResult(spec, _with_all(current(store, m), spec, store, m), store.plan(m)), m["version"], manner)
-    cube, chains = store.plan(m), []
-    for chain, width, d in zip(cube.chains, cube.slots.widths, m["chains"], strict=True):
-        if kind == "input":
-            runs = [*d["runs"], store.write_run(_chain_input(delta, spec, chain, width), chain, width, kind)]
-        else:
-            runs = [*d["runs"], store.write_run(_chain_view(delta, spec, chain, width), chain, width, kind)]
-            if store.merge_when == "on_write":
-                both = M.merge(store.table_over(runs), spec, cell_keys(spec))
-                both._lc_dealt = True
-                runs = [store.write_run(both, chain, width, kind)]
-        chains.append(d | {"runs": runs})
+    cube = store.plan(m)
+    make, of = _chain_input if kind == "input" else _chain_view, list(zip(cube.chains, cube.slots.widths, strict=True))
+    fresh = store.write_runs([(make(delta, spec, chain, width), chain, width, kind) for chain, width in of])
+    runs = [[*d["runs"], r] for d, r in zip(m["chains"], fresh, strict=True)]
+    if kind == "view" and store.merge_when == "on_write":
+        runs = [[r] for r in _merged_runs(store, cube, runs, kind)]
+    chains = [d | {"runs": r} for d, r in zip(m["chains"], runs, strict=True)]
     updates = m["updates"] + 1
     changes = {"chains": chains, "updates": updates, "batches": m["batches"] + ([batch_id] if batch_id is not None else [])}
     if keep_delta:
@@ -171,26 +168,31 @@ def refresh(store: SlotStore, delta: DataFrame, manner: str, base: DataFrame | N
 
 def compact(store: SlotStore) -> dict:
     """Merge the runs of each chain into one, and sort within the buckets again."""
-    m, spec = store.manifest(), store.spec
-    cube, chains = store.plan(m), []
-    for chain, width, d in zip(cube.chains, cube.slots.widths, m["chains"], strict=True):
-        if len(d["runs"]) > 1:
-            keys = list(spec.dims) if m["kind"] == "input" else cell_keys(spec)
-            both = M.merge(store.state(d), spec, keys)
-            both._lc_dealt = True
-            d = d | {"runs": [store.write_run(both, chain, width, m["kind"])]}
-        chains.append(d)
-    return store.commit(m, chains=chains)
+    m = store.manifest()
+    merged = _merged_runs(store, store.plan(m), [d["runs"] for d in m["chains"]], m["kind"])
+    return store.commit(m, chains=[d | {"runs": [r]} for d, r in zip(m["chains"], merged, strict=True)])
+
+
+def _merged_runs(store: SlotStore, cube: M.CubePlan, runs: list[list[dict]], kind: str) -> list[dict]:
+    """One run for each chain, merged where the buckets lie."""
+    spec, jobs = store.spec, []
+    keys = list(spec.dims) if kind == "input" else cell_keys(spec)
+    for chain, width, own in zip(cube.chains, cube.slots.widths, runs, strict=True):
+        both = M.merge(store.table_over(own), spec, keys)
+        both._lc_dealt = True
+        jobs.append((both, chain, width, kind))
+    return store.write_runs(jobs)
 
 
 def snapshot(store: SlotStore) -> dict:
     """Copy the state; deltas from before it are no longer needed for recovery."""
     m = store.manifest()
-    cube, copies = store.plan(m), []
+    cube, jobs = store.plan(m), []
     for chain, width, d in zip(cube.chains, cube.slots.widths, m["chains"], strict=True):
         state = store.state(d)
         state._lc_dealt = True
-        copies.append(d | {"runs": [store.write_run(state, chain, width, "snapshot")]})
+        jobs.append((state, chain, width, "snapshot"))
+    copies = [d | {"runs": [r]} for d, r in zip(m["chains"], store.write_runs(jobs), strict=True)]
     for path in m["deltas"]:
         store.files.delete(path)
     return store.commit(m, snapshot={"updates": m["updates"], "chains": copies}, deltas=[])
@@ -213,7 +215,7 @@ def view_states(df: DataFrame, spec: CubeSpec, slots: int | None = None) -> Data
     """Merged states of all cells: what is published for incremental maintenance from files."""
     cube = M.plan(spec, slots or M.default_slots(df, len(M.plan_chains(spec.dims, spec.cuboids).chains)))
     rows = M.levels(M.shuffled(df, cube), cube)
-    return M.merge(rows, spec, ["slot", "batch", *cell_keys(spec)]).drop("slot", "batch")
+    return M.merge(rows, spec, ["__slot", "__batch", *cell_keys(spec)]).drop("__slot", "__batch")
 
 
 def incremental_reload(view_path: str, delta: DataFrame, spec: CubeSpec, delta_path: str, new_path: str | None = None) -> M.CubeResult:

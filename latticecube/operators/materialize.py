@@ -87,14 +87,14 @@ def compress(rows: DataFrame, spec: CubeSpec, keys: list[str | Column]) -> DataF
     """Aggregate prepared rows at some keys into mergeable rows: states, and values with counts for frequency functions."""
     values = [f"m_{m}" for m in spec.holistic_measures()]
     states = [init.alias(name) for a in spec.aggs for name, (init, _) in a.states().items()]
-    return rows.groupBy(*keys, *values).agg(F.count(F.lit(1)).alias("cnt"), *states)
+    return rows.groupBy(*keys, *values).agg(F.count(F.lit(1)).alias("__cnt"), *states)
 
 
 def merge(rows: DataFrame, spec: CubeSpec, keys: list[str | Column], with_values: bool = True) -> DataFrame:
     """Merge compressed rows of equal keys."""
     values = [f"m_{m}" for m in spec.holistic_measures()] if with_values else []
     states = [m.alias(name) for a in spec.aggs for name, (_, m) in a.states().items()]
-    return rows.groupBy(*keys, *values).agg(F.sum("cnt").alias("cnt"), *states)
+    return rows.groupBy(*keys, *values).agg(F.sum("__cnt").alias("__cnt"), *states)
 
 
 def finish(rows: DataFrame, spec: CubeSpec, keys: list[str]) -> DataFrame:
@@ -103,7 +103,7 @@ def finish(rows: DataFrame, spec: CubeSpec, keys: list[str]) -> DataFrame:
         rows = merge(rows, spec, keys)  # a value's count must be whole before the most frequent is picked
     states = [m.alias(name) for a in spec.aggs for name, (_, m) in a.states().items()]
     held = [a.from_frequencies().alias(a.name) for a in spec.aggs if a.kind == "frequency"]
-    return rows.groupBy(*keys).agg(F.sum("cnt").alias("cnt"), *states, *held).select(*keys, *[a.final().alias(a.name) for a in spec.aggs])
+    return rows.groupBy(*keys).agg(F.sum("__cnt").alias("__cnt"), *states, *held).select(*keys, *[a.final().alias(a.name) for a in spec.aggs])
 
 
 def masked(spec: CubeSpec, cuboid_id: Column, kept: frozenset[str] | None = None) -> list[Column]:
@@ -119,21 +119,21 @@ def fan_out(rows: DataFrame, cube: CubePlan) -> DataFrame:
         for i, (c, start, width) in enumerate(zip(cube.chains, cube.slots.starts, cube.slots.widths, strict=True))
     ])
     rest = [c for c in rows.columns if c not in cube.spec.dims]
-    spread = rows.select(*cube.spec.dims, *rest, F.explode(copies).alias("c"))
+    spread = rows.select(*cube.spec.dims, *rest, F.explode(copies).alias("__copy"))
     dims = []
     for d in cube.spec.dims:
         without = [i for i, c in enumerate(cube.chains) if d not in c.order]
-        dims.append((F.when(~F.col("c.batch").isin(without), F.col(d)) if without else F.col(d)).alias(d))
-    return spread.select(F.col("c.slot").alias("slot"), F.col("c.batch").alias("batch"), *dims, *rest)
+        dims.append((F.when(~F.col("__copy.batch").isin(without), F.col(d)) if without else F.col(d)).alias(d))
+    return spread.select(F.col("__copy.slot").alias("__slot"), F.col("__copy.batch").alias("__batch"), *dims, *rest)
 
 
 def levels(rows: DataFrame, cube: CubePlan) -> DataFrame:
     """Explode each compressed row to its chain's members; the partitioning stays."""
     spec = cube.spec
-    ids = F.element_at(F.array(*[F.array(*[F.lit(spec.cuboid_id(m)) for m in c.members]) for c in cube.chains]), F.col("batch").cast("int") + 1)
-    rest = [c for c in rows.columns if c not in ("slot", "batch", *spec.dims)]
-    spread = rows.select("slot", "batch", F.explode(ids).alias("cuboid_id"), *spec.dims, *rest)
-    return spread.select("slot", "batch", "cuboid_id", *masked(spec, F.col("cuboid_id")), *rest)
+    ids = F.element_at(F.array(*[F.array(*[F.lit(spec.cuboid_id(m)) for m in c.members]) for c in cube.chains]), F.col("__batch").cast("int") + 1)
+    rest = [c for c in rows.columns if c not in ("__slot", "__batch", *spec.dims)]
+    spread = rows.select("__slot", "__batch", F.explode(ids).alias("cuboid_id"), *spec.dims, *rest)
+    return spread.select("__slot", "__batch", "cuboid_id", *masked(spec, F.col("cuboid_id")), *rest)
 
 
 def _combined(rows: DataFrame, spec: CubeSpec, combine: str) -> tuple[DataFrame, bool]:
@@ -154,8 +154,8 @@ def shuffled(df: DataFrame, cube: CubePlan, combine: str = "off", prepared: bool
     spec = cube.spec
     rows = df if prepared else spec.prepared(df)
     rows, done = _combined(rows, spec, combine)
-    dealt = fan_out(rows, cube).repartitionById(cube.slots.total, F.col("slot"))
-    keys = ["slot", "batch", *spec.dims]
+    dealt = fan_out(rows, cube).repartitionById(cube.slots.total, F.col("__slot"))
+    keys = ["__slot", "__batch", *spec.dims]
     return merge(dealt, spec, keys) if done else compress(dealt, spec, keys)
 
 
@@ -208,7 +208,7 @@ def _cells(df: DataFrame, cube: CubePlan, combine: str, engine: str, feed: str)
     if feed == "finest":
         combine = "on"
     rows = levels(shuffled(df, cube, combine), cube)
-    keys = ["slot", "batch", "cuboid_id", *spec.dims]
+    keys = ["__slot", "__batch", "cuboid_id", *spec.dims]
     return finish(rows, spec, keys).select(*spec.output_columns())
 
 

@@ -59,10 +59,10 @@ def cells(df: DataFrame, cube: M.CubePlan) -> DataFrame:
     types = {f.name: f.dataType for f in rows.schema}
     measures = [c for c in rows.columns if c.startswith("m_") and c not in spec.dims]
     rows = rows.select(*spec.dims, *[F.col(m).cast("double").alias(m) for m in measures])
-    dealt = M.fan_out(rows, cube).repartitionById(cube.slots.total, F.col("slot"))
+    dealt = M.fan_out(rows, cube).repartitionById(cube.slots.total, F.col("__slot"))
     # a slot holds one chain, so the columns of the other chains' orders are constant there
-    order = [F.when(F.col("batch") == i, F.col(d)) for i, c in enumerate(cube.chains) for d in c.order]
-    ordered = dealt.sortWithinPartitions("batch", *order)
+    order = [F.when(F.col("__batch") == i, F.col(d)) for i, c in enumerate(cube.chains) for d in c.order]
+    ordered = dealt.sortWithinPartitions("__batch", *order)
     dims, aggs = list(spec.dims), [(a.fn, f"m_{a.measure}" if a.measure else None) for a in spec.aggs]
     chains = [(list(c.order), [(len(m), spec.cuboid_id(m)) for m in c.members]) for c in cube.chains]
     schema = T.StructType([T.StructField("cuboid_id", T.IntegerType()), *[T.StructField(d, types[d]) for d in dims], *[T.StructField(a.name, T.DoubleType()) for a in spec.aggs]])
@@ -80,7 +80,7 @@ def cells(df: DataFrame, cube: M.CubePlan) -> DataFrame:
     def changes(table, k):
         """True where a row's first k dimensions differ from the row's before."""
         out = np.ones(table.num_rows, bool)
-        order = chains[table.column("batch")[0].as_py()][0]
+        order = chains[table.column("__batch")[0].as_py()][0]
         differ = np.zeros(table.num_rows - 1, bool)
         for d in order[:k]:
             col = table.column(d).combine_chunks()
@@ -92,19 +92,19 @@ def cells(df: DataFrame, cube: M.CubePlan) -> DataFrame:
         return out
 
     def _open(table):
-        shortest = min(k for k, _ in chains[table.column("batch")[0].as_py()][1])
+        shortest = min(k for k, _ in chains[table.column("__batch")[0].as_py()][1])
         start = np.flatnonzero(changes(table, shortest))[-1]
         return table.slice(start).combine_chunks()
 
     def _closed(table, last):
         """Cells of all members inside the closed cells of the shortest member."""
-        members = chains[table.column("batch")[0].as_py()][1]
+        members = chains[table.column("__batch")[0].as_py()][1]
         shortest = min(k for k, _ in members)
         end = table.num_rows if last else int(np.flatnonzero(changes(table, shortest))[-1])
         if end == 0:
             return
         done = table.slice(0, end)
-        order = chains[done.column("batch")[0].as_py()][0]
+        order = chains[done.column("__batch")[0].as_py()][0]
         columns = {m: done.column(m).to_numpy(zero_copy_only=False).astype(float) for m in measures}
         for k, cuboid_id in members:
             starts = np.flatnonzero(changes(done, k))

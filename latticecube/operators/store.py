@@ -12,6 +12,7 @@ import hashlib
 import json
 import re
 import uuid
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
@@ -100,6 +101,11 @@ class SlotStore:
             self.spark.sql(f"CREATE TABLE {name} ({columns}) USING parquet OPTIONS (path '{first['root']}', recursiveFileLookup 'true', pathGlobFilter '{glob}') CLUSTERED BY ({tick(first['part'])}) INTO {first['width']} BUCKETS")
         return self.spark.table(name)
 
+    def write_runs(self, jobs: list[tuple[DataFrame, Chain, int, str]]) -> list[dict]:
+        """Write runs of several chains at a time, so that a chain of few slots leaves no cores idle; none is listed before all are there."""
+        with ThreadPoolExecutor(max_workers=max(1, min(8, len(jobs)))) as pool:
+            return list(pool.map(lambda j: self.write_run(*j), jobs))
+
     def state(self, chain: dict) -> DataFrame:
         """All runs of a chain."""
         return self.table_over(chain["runs"])

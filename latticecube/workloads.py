@@ -133,7 +133,7 @@ def _balance(spark: SparkSession, sf: str) -> DataFrame:
     """The slots of each chain by number of copies dealt to it: all of a chain's slots together hold every row once."""
     rows, spec = lineitem(spark, sf), spec4(SUM_QTY)
     cube = M.plan(spec, 24)
-    return M.fan_out(spec.prepared(rows), cube).groupBy(F.col("batch").cast("int").alias("chain")).agg(F.count("*").alias("copies"), F.sum("m_l_quantity").alias("quantity"))
+    return M.fan_out(spec.prepared(rows), cube).groupBy(F.col("__batch").cast("int").alias("chain")).agg(F.count("*").alias("copies"), F.sum("m_l_quantity").alias("quantity"))
 
 
 def _stream_cube(spark: SparkSession, sf: str) -> DataFrame:
