@@ -44,7 +44,7 @@ SHARD_BYTES = 256 << 20
 #: Distinct words, and white-space-free chunks, whose ids a worker keeps (about 150 bytes each).
 MEMO_ENTRIES = 700_000
 #: Mean number of keys in a bucket of the index.
-BUCKET_KEYS = 4
+BUCKET_KEYS = 3
 
 _mask = np.uint64(0xFFFFFFFFFFFFFFFF)
 
@@ -83,19 +83,31 @@ class PerfectIndex:
         ends = np.cumsum(sizes)
         taken = np.zeros(n, bool)
         out = np.zeros(buckets, np.uint32)
-        big = np.argsort(-sizes, kind="stable")
-        for b in big[sizes[big] > 1]:  # large buckets first, while slots are free
-            own = keys[order[ends[b] - sizes[b] : ends[b]]]
-            for d in range(1, 1 << 16):
-                slots = (mix(own, seed + 64 * d) % np.uint64(n)).astype(np.int64)
-                if not taken[slots].any() and len(np.unique(slots)) == len(slots):
-                    taken[slots] = True
-                    out[b] = d
+        # large buckets first, while slots are free; all open buckets of a size try a displacement at once
+        for size in range(int(sizes.max()), 1, -1):
+            open_ = np.flatnonzero(sizes == size)
+            own = keys[order[(ends[open_] - size)[:, None] + np.arange(size)]] if len(open_) else None
+            for d in range(1, 1 << 20):
+                if not len(open_):
                     break
-            else:
+                slots = (mix(own, seed + 64 * d) % np.uint64(n)).astype(np.int64)
+                apart = np.sort(slots, axis=1)
+                good = np.flatnonzero(~taken[slots].any(axis=1) & (apart[:, 1:] != apart[:, :-1]).all(axis=1))
+                if len(good):
+                    # a slot that two buckets want goes to the first; a bucket that gets only some of its slots waits
+                    flat = slots[good].ravel()
+                    claimed, first = np.unique(flat, return_index=True)
+                    owner = first[np.searchsorted(claimed, flat)].reshape(len(good), size) // size
+                    done = good[(owner == np.arange(len(good))[:, None]).all(axis=1)]
+                    taken[slots[done].ravel()] = True
+                    out[open_[done]] = d
+                    rest = np.ones(len(open_), bool)
+                    rest[done] = False
+                    open_, own = open_[rest], own[rest]
+            if len(open_):
                 return None
         # a bucket of one key names its slot outright: the top bit marks it
-        single = big[sizes[big] == 1]
+        single = np.flatnonzero(sizes == 1)
         out[single] = np.flatnonzero(~taken)[: len(single)].astype(np.uint32) | np.uint32(0x80000000)
         return out
 
