@@ -24,7 +24,7 @@ from . import common
 
 LEVELS = ("domain", "lang", "source")
 #: Documents of a leaf that share a hash bucket, about.
-BUCKET_ROWS = 10_000
+BUCKET_ROWS = 1_000
 #: Weight of a child that the weights don't name: used only when named ones are full.
 LEFTOVER = 1e-9
 
