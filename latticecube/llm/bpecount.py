@@ -124,7 +124,9 @@ def count_tokens(docs: DataFrame, vocab: str, limit: int = 512, text: str = "tex
     """``doc_id, n_bytes, n_tokens, over_limit`` of every row; one narrow pass, nothing shuffled."""
 
     def count(batches):
-        of = counter(vocab).count
+        made = counter(vocab)
+        common.claim("counts", made.memo.clear)
+        of = made.count
         for batch in batches:
             for part in common.slices(batch):
                 n = [of(t) for t in part.column(1).to_pylist()]
@@ -132,5 +134,5 @@ def count_tokens(docs: DataFrame, vocab: str, limit: int = 512, text: str = "tex
 
     body = F.coalesce(F.col(text), F.lit(""))
     rows = docs.select(F.col(key).cast("long").alias("doc_id"), body.alias("text"), F.octet_length(body).cast("long").alias("n_bytes"))
-    out = rows.mapInArrow(count, "doc_id long, n_bytes long, n_tokens long")
+    out = common.arrow_map(rows, count, "doc_id long, n_bytes long, n_tokens long")
     return out.withColumn("over_limit", F.col("n_tokens") > limit)

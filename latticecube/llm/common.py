@@ -64,6 +64,45 @@ def small_side(df: DataFrame, rows: int | None = None, limit: int = BROADCAST_RO
     return F.broadcast(df) if n <= limit else df
 
 
+_memos: dict[str, object] = {}
+
+
+def claim(owner: str, clear) -> None:
+    """Say that a Python worker now remembers for one operator, and free what it remembers for others.
+
+    Workers outlive tasks and serve several operators in turn; without this their dictionaries would add up.
+    """
+    for other in [k for k in _memos if k != owner]:
+        _memos.pop(other)()
+        _give_back()
+    _memos[owner] = clear
+
+
+def _give_back() -> None:
+    """Return freed memory to the machine, where the C library can."""
+    import ctypes
+    import gc
+
+    gc.collect()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (OSError, AttributeError):
+        pass
+
+
+#: Rows of an Arrow batch: texts are long, and both sides of the pipe hold a whole batch.
+BATCH_ROWS = 1_000
+
+
+def arrow_map(df: DataFrame, fn, schema: str) -> DataFrame:
+    """``mapInArrow`` with batches that fit long texts; this lowers the session's (runtime) batch size if it is larger."""
+    conf = df.sparkSession.conf
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(conf.get(name)) <= BATCH_ROWS:
+        conf.set(name, str(BATCH_ROWS))
+    return df.mapInArrow(fn, schema)
+
+
 def slices(batch, rows: int = 256):
     """Cut an Arrow batch so that only a few rows are Python objects at a time."""
     for at in range(0, batch.num_rows, rows):

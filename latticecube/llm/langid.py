@@ -144,7 +144,7 @@ def train(docs: DataFrame, per_language: int = PER_LANGUAGE, width: int = WIDTH)
 
     # the share is exact only on average: a limit in hash order bounds what the driver gets
     bounded = picked.orderBy("place", "doc_id").limit(2 * per_language * len(counts)).select("lang", "text")
-    got = [r for r in bounded.mapInArrow(vectors, "lang string, x binary").collect() if r["x"]]
+    got = [r for r in common.arrow_map(bounded, vectors, "lang string, x binary").collect() if r["x"]]
     got.sort(key=lambda r: (r["lang"], bytes(r["x"])))
     return Model(np.stack([np.frombuffer(r["x"], np.float32) for r in got]), [r["lang"] for r in got]) if got else None
 
@@ -168,4 +168,4 @@ def identify(docs: DataFrame, model: Model | None, width: int = WIDTH) -> DataFr
                 yield pa.record_batch([part.column(0), part.column(1), pa.array(langs), pa.array(score)], ["doc_id", "held_out", "lang_pred", "score"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), common.held_out().alias("held_out"), F.col("text").cast("string").alias("text"))
-    return rows.mapInArrow(predict, "doc_id long, held_out boolean, lang_pred string, score double")
+    return common.arrow_map(rows, predict, "doc_id long, held_out boolean, lang_pred string, score double")

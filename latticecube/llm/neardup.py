@@ -39,7 +39,7 @@ CROWD = 32
 #: Sets of a crowd up to which a value counts as the members' own.
 RARE = 16
 SIGMAS = 6.0
-MEMO_ENTRIES = 600_000
+MEMO_ENTRIES = 400_000
 NUM, DEN = 75, 100
 
 #: Odd multipliers of the shingle hash, one for each word position.
@@ -86,6 +86,7 @@ def sketches(docs: DataFrame, k: int = SKETCH) -> DataFrame:
     """``doc_id, n, f1, f2, sketch``: set size, a 128-bit fingerprint of the set, and its k least values."""
 
     def make(batches):
+        common.claim("shingles", _words.clear)
         for batch in batches:
             for part in common.slices(batch):
                 ns, f1, f2, least = [], [], [], []
@@ -101,13 +102,14 @@ def sketches(docs: DataFrame, k: int = SKETCH) -> DataFrame:
                 yield pa.record_batch([part.column(0), pa.array(ns, pa.int32()), pa.array(f1, pa.int64()), pa.array(f2, pa.int64()), lists], ["doc_id", "n", "f1", "f2", "sketch"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return rows.mapInArrow(make, "doc_id long, n int, f1 long, f2 long, sketch array<long>")
+    return common.arrow_map(rows, make, "doc_id long, n int, f1 long, f2 long, sketch array<long>")
 
 
 def full_sets(docs: DataFrame, ids: DataFrame) -> DataFrame:
     """``doc_id, items`` of the listed documents, made anew from their texts."""
 
     def make(batches):
+        common.claim("shingles", _words.clear)
         for batch in batches:
             for part in common.slices(batch):
                 sets = [shingle_set(t) for t in part.column(1).to_pylist()]
@@ -116,7 +118,7 @@ def full_sets(docs: DataFrame, ids: DataFrame) -> DataFrame:
                 yield pa.record_batch([part.column(0), lists], ["doc_id", "items"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return rows.join(common.small_side(ids), "doc_id", "left_semi").mapInArrow(make, "doc_id long, items array<long>")
+    return common.arrow_map(rows.join(common.small_side(ids), "doc_id", "left_semi"), make, "doc_id long, items array<long>")
 
 
 def least_shared(n, k: int):

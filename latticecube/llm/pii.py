@@ -251,6 +251,7 @@ def surrogates(docs: DataFrame, key: bytes) -> DataFrame:
 
     def run(batches):
         to = _with(key)
+        common.claim("surrogates", to.memo.clear)
         for batch in batches:
             for part in common.slices(batch, 64):
                 made = [replace(t, to) for t in part.column(1).to_pylist()]
@@ -258,7 +259,7 @@ def surrogates(docs: DataFrame, key: bytes) -> DataFrame:
                 yield pa.record_batch([part.column(0), pa.array([len(m) for _, m in made], pa.int64()), pa.array(kinds, pa.list_(pa.string())), pa.array([t for t, _ in made], pa.string())], ["doc_id", "n_entities", "kinds", "text"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return rows.mapInArrow(run, "doc_id long, n_entities long, kinds array<string>, text string")
+    return common.arrow_map(rows, run, "doc_id long, n_entities long, kinds array<string>, text string")
 
 
 def entities(docs: DataFrame, key: bytes) -> DataFrame:
@@ -266,6 +267,7 @@ def entities(docs: DataFrame, key: bytes) -> DataFrame:
 
     def run(batches):
         to = _with(key)
+        common.claim("surrogates", to.memo.clear)
         for batch in batches:
             for part in common.slices(batch, 64):
                 rows = [(i, *m) for i, t in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True) for m in replace(t, to)[1]]
@@ -273,7 +275,7 @@ def entities(docs: DataFrame, key: bytes) -> DataFrame:
                 yield pa.record_batch([pa.array(c, pa.int64() if i == 0 else pa.string()) for i, c in enumerate(cols)], ["doc_id", "kind", "value", "surrogate"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return rows.mapInArrow(run, "doc_id long, kind string, value string, surrogate string")
+    return common.arrow_map(rows, run, "doc_id long, kind string, value string, surrogate string")
 
 
 def collisions(docs: DataFrame, key: bytes) -> DataFrame:

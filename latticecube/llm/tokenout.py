@@ -42,7 +42,7 @@ HEADER = struct.Struct("<8sIIQQQQQQ")
 #: Text bytes a shard should hold at most, about.
 SHARD_BYTES = 256 << 20
 #: Distinct words, and white-space-free chunks, whose ids a worker keeps (about 150 bytes each).
-MEMO_ENTRIES = 700_000
+MEMO_ENTRIES = 500_000
 #: Mean number of keys in a bucket of the index.
 BUCKET_KEYS = 3
 
@@ -160,6 +160,10 @@ class Encoder:
         self.chunks: dict[str, bytes] = {}
         self.words: dict[str, bytes] = {}
 
+    def forget(self) -> None:
+        self.chunks.clear()
+        self.words.clear()
+
     def _word(self, word: str) -> bytes:
         shown = word if word.isascii() else "".join(map(self.letters.__getitem__, word.encode()))
         self.words[word] = ids = np.array([t.id for t in self.model.tokenize(shown)], self.dtype).tobytes()
@@ -267,6 +271,7 @@ def write_shards(docs: DataFrame, vocab: str, out: str, end_id: int = 2, shard_b
         from pyspark import TaskContext
 
         enc = encoder(vocab)
+        common.claim("ids", enc.forget)
         width, end = enc.width, np.array([end_id], enc.dtype).tobytes()
         keys, lengths, payload = [], [], []
         for batch in batches:
@@ -285,7 +290,7 @@ def write_shards(docs: DataFrame, vocab: str, out: str, end_id: int = 2, shard_b
                     f.write(x)
             yield pa.record_batch([pa.array([pid], pa.int32()), pa.array([uri]), pa.array([len(keys)], pa.int64()), pa.array([int(sum(lengths))], pa.int64()), pa.array([keys[-1]], pa.int64())], ["shard", "uri", "n_docs", "n_ids", "last_key"])
 
-    made = dealt.mapInArrow(store, "shard int, uri string, n_docs long, n_ids long, last_key long").collect()
+    made = common.arrow_map(dealt, store, "shard int, uri string, n_docs long, n_ids long, last_key long").collect()
     manifest, start = [], 0
     for r in sorted(made, key=lambda r: r["shard"]):
         manifest.append(r.asDict() | {"start": start})

@@ -142,7 +142,7 @@ def train(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS, featur
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     # the sample is bounded by its parameter, so it may be broadcast
-    sample = common.written(rows.join(F.broadcast(picked), "doc_id").select("toxic", "text").mapInArrow(found, "toxic int, own array<string>, other array<string>"), "toxic-sample")
+    sample = common.written(common.arrow_map(rows.join(F.broadcast(picked), "doc_id").select("toxic", "text"), found, "toxic int, own array<string>, other array<string>"), "toxic-sample")
     n = {r["toxic"]: r["n"] for r in sample.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
     if len(n) < 2:
         return Model([], np.zeros(0), 40.0 if 1 in n else -40.0)
@@ -186,11 +186,13 @@ def score(docs: DataFrame, model: Model, threshold: float = 0.7) -> DataFrame:
     sent = docs.sparkSession.sparkContext.broadcast(model)  # bounded by FEATURES
 
     def run(batches):
-        of = sent.value.score
+        m = sent.value
+        common.claim("toxicity", m.memo.clear)
+        of = m.score
         for batch in batches:
             for part in common.slices(batch):
                 s = np.array([of(t) for t in part.column(2).to_pylist()])
                 yield pa.record_batch([part.column(0), part.column(1), pa.array(s, pa.float64()), pa.array((s >= threshold).astype(np.int32))], ["doc_id", "held_out", "score", "predicted"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), common.held_out().alias("held_out"), F.col("text").cast("string").alias("text"))
-    return rows.mapInArrow(run, "doc_id long, held_out boolean, score double, predicted int")
+    return common.arrow_map(rows, run, "doc_id long, held_out boolean, score double, predicted int")
