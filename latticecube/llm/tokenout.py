@@ -41,8 +41,8 @@ MAGIC = b"LCIDSHRD"
 HEADER = struct.Struct("<8sIIQQQQQQ")
 #: Text bytes a shard should hold at most, about.
 SHARD_BYTES = 256 << 20
-#: Distinct words, and white-space-free chunks, whose ids a worker keeps (about 150 bytes each).
-MEMO_ENTRIES = 500_000
+#: White-space-free chunks, and distinct words, whose ids a worker keeps (about 200 bytes each).
+MEMO_CHUNKS, MEMO_WORDS = 250_000, 200_000
 #: Mean number of keys in a bucket of the index.
 BUCKET_KEYS = 3
 
@@ -179,9 +179,10 @@ class Encoder:
             return b""
         if not self.by_word or self.odd(text):
             return np.asarray(self.of.encode(text, add_special_tokens=False).ids, self.dtype).tobytes()
-        for memo in (self.chunks, self.words):
-            if len(memo) > MEMO_ENTRIES:
-                memo.clear()
+        if len(self.chunks) > MEMO_CHUNKS:
+            self.chunks.clear()
+        if len(self.words) > MEMO_WORDS:
+            self.words.clear()
         parts = text.split()
         try:
             return b"".join(map(self.chunks.__getitem__, parts))
