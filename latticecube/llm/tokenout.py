@@ -171,7 +171,12 @@ class Encoder:
 
     def _chunk(self, chunk: str) -> bytes:
         words = self.words
-        self.chunks[chunk] = ids = b"".join([words.get(w) or self._word(w) for w in self.find(chunk.lower())])
+        low = chunk.lower()
+        if low.isalpha():  # one word: the pattern would find just that
+            ids = words.get(low) or self._word(low)
+        else:
+            ids = b"".join([words.get(w) or self._word(w) for w in self.find(low)])
+        self.chunks[chunk] = ids
         return ids
 
     def encode(self, text: str | None) -> bytes:
@@ -183,12 +188,8 @@ class Encoder:
             self.chunks.clear()
         if len(self.words) > MEMO_WORDS:
             self.words.clear()
-        parts = text.split()
-        try:
-            return b"".join(map(self.chunks.__getitem__, parts))
-        except KeyError:
-            of = self.chunks.get
-            return b"".join([of(c) or self._chunk(c) for c in parts])
+        of, make = self.chunks.get, self._chunk
+        return b"".join([of(c) or make(c) for c in text.split()])
 
 
 _encoders: dict[str, Encoder] = {}
