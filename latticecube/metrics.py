@@ -123,6 +123,14 @@ def overhead(with_cache: float, without: float) -> float:
     return (with_cache - without) / without
 
 
+def scaleup(points: list[tuple[int, float]]) -> list[dict[str, float]]:
+    """Speed-up over the first point and efficiency of each ``(cores, seconds)``; efficiency 1 is linear."""
+    if not points:
+        return []
+    c0, t0 = points[0]
+    return [{"cores": c, "seconds": t, "speedup": t0 / t, "efficiency": t0 * c0 / (t * c)} for c, t in points]
+
+
 def exchanges(df: DataFrame) -> int:
     """Exchanges of the planned query."""
     return df._jdf.queryExecution().executedPlan().toString().count("Exchange ")

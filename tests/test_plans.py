@@ -68,3 +68,12 @@ def test_slot_examples():
     assert even_slots(3, 8) == [3, 3, 2]
     with pytest.raises(ValueError):
         allocate_slots([1, 1, 1], 2)
+
+
+def test_scaleup():
+    from latticecube import metrics
+
+    assert metrics.scaleup([]) == []
+    first, second = metrics.scaleup([(2, 10.0), (4, 8.0)])
+    assert (first["speedup"], first["efficiency"]) == (1.0, 1.0)
+    assert (second["speedup"], second["efficiency"]) == (1.25, 0.625)
