@@ -244,3 +244,22 @@ def test_queries_have_sql(spark):
     from latticecube import workloads
 
     assert set(workloads.queries()) == set(workloads.oracle_sql())
+
+
+def test_own_state_gives_the_median(spark, tmp_path):
+    from latticecube.streaming import statecube
+
+    assert statecube.weighted_median([]) is None
+    assert statecube.weighted_median([(3.0, 1), (1.0, 2)]) == 1.0 and statecube.weighted_median([(4.0, 2), (1.0, 2)]) == 2.5
+    src, spec = str(tmp_path / "in"), CubeSpec(("b",), (MEDIAN,))
+    for rows in (ROWS[:5], ROWS[5:30]):
+        frame(spark, rows).coalesce(1).write.mode("append").parquet(src)
+    session = spark.newSession()
+    session.conf.set("spark.sql.streaming.stateStore.providerClass", statecube.PROVIDER)
+    session.conf.set("spark.sql.shuffle.partitions", "2")
+    source = session.readStream.schema("a string, b int, c date, m double").option("maxFilesPerTrigger", 1).parquet(src)
+    got = {}
+    q = statecube.state_cube(source, spec, "m").writeStream.foreachBatch(lambda df, _: got.update({r.cell: (r.median, r.n) for r in df.collect()}))
+    q.outputMode("update").option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True).start().awaitTermination()
+    want = brute([{"b": r[1], "m": r[3]} for r in ROWS[:30]], ["b"], [middle, len])
+    assert sorted(got.values(), key=str) == sorted(want.values(), key=str)
