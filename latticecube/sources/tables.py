@@ -31,6 +31,18 @@ def delta_part(lineitem: DataFrame, percent: int, start: int = 0) -> DataFrame:
     return lineitem.where((u >= 100 + start) & (u < 100 + start + percent))
 
 
+def fixed_parts(lineitem: DataFrame, percents: list[int]) -> list[DataFrame]:
+    """The base, of half the table, and the deltas one after another; rows after the last delta are in no part."""
+    return [base_part(lineitem), *(delta_part(lineitem, p, sum(percents[:i])) for i, p in enumerate(percents))]
+
+
+def whole_parts(lineitem: DataFrame, percents: list[int]) -> list[DataFrame]:
+    """The base and deltas of so many percent of it, together the whole table; rows without a split number are in the base."""
+    at = F.coalesce(split_number(), F.lit(0)) * (100 + sum(percents))
+    ends = [200 * (100 + sum(percents[:i])) for i in range(len(percents))]
+    return [lineitem.where((at >= lo if lo else F.lit(True)) & (at < hi if hi else F.lit(True))) for lo, hi in zip([None, *ends], [*ends, None], strict=True)]
+
+
 def with_receipt_date(lineitem: DataFrame) -> DataFrame:
     days = 1 + (F.col("l_orderkey") * 7 + F.col("l_linenumber")) % 30
     return lineitem.withColumn("receiptdate", F.col("l_shipdate") + F.make_dt_interval(days.cast("int")))

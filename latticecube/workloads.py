@@ -50,43 +50,38 @@ def _new_store(spark: SparkSession, spec: CubeSpec, **more) -> SlotStore:
     return SlotStore(spark, files.scratch_dir(spark), spec, **more)
 
 
-def _refreshed(spec: CubeSpec, manner: str, percents: list[int], **more) -> Callable[[SparkSession, str], DataFrame]:
+def _refreshed(spec: CubeSpec, manner: str, percents: list[int], split=T.fixed_parts, **more) -> Callable[[SparkSession, str], DataFrame]:
     def query(spark: SparkSession, sf: str) -> DataFrame:
-        rows = lineitem(spark, sf)
+        base, *deltas = split(lineitem(spark, sf), percents)
         store = _new_store(spark, spec, **more)
-        maintain.materialize_cached(T.base_part(rows), spec, store, "input" if manner.startswith("recompute") else "view")
-        at, deltas = 0, []
-        for p in percents:
-            deltas.append(T.delta_part(rows, p, at))
-            at += p
+        maintain.materialize_cached(base, spec, store, "input" if manner.startswith("recompute") else "view")
         return maintain.refresh_many(store, deltas, manner, compact_every=2).cube.df
 
     return query
 
 
-def _reloaded(spec: CubeSpec, percent: int) -> Callable[[SparkSession, str], DataFrame]:
+def _reloaded(spec: CubeSpec, percent: int, split=T.fixed_parts) -> Callable[[SparkSession, str], DataFrame]:
     def query(spark: SparkSession, sf: str) -> DataFrame:
-        rows, root = lineitem(spark, sf), files.scratch_dir(spark)
-        maintain.view_states(T.base_part(rows), spec).write.parquet(f"{root}/view")
-        return maintain.incremental_reload(f"{root}/view", T.delta_part(rows, percent), spec, f"{root}/delta").df
+        (base, delta), root = split(lineitem(spark, sf), [percent]), files.scratch_dir(spark)
+        maintain.view_states(base, spec).write.parquet(f"{root}/view")
+        return maintain.incremental_reload(f"{root}/view", delta, spec, f"{root}/delta").df
 
     return query
 
 
-def _recompute_reload(spec: CubeSpec, percent: int) -> Callable[[SparkSession, str], DataFrame]:
+def _recompute_reload(spec: CubeSpec, percent: int, split=T.fixed_parts) -> Callable[[SparkSession, str], DataFrame]:
     def query(spark: SparkSession, sf: str) -> DataFrame:
-        rows = lineitem(spark, sf)
-        return maintain.refresh(_new_store(spark, spec), T.delta_part(rows, percent), "recompute_reload", base=T.base_part(rows)).cube.df
+        base, delta = split(lineitem(spark, sf), [percent])
+        return maintain.refresh(_new_store(spark, spec), delta, "recompute_reload", base=base).cube.df
 
     return query
 
 
-def _recovered(spec: CubeSpec, manner: str) -> Callable[[SparkSession, str], DataFrame]:
+def _recovered(spec: CubeSpec, manner: str, split=T.fixed_parts) -> Callable[[SparkSession, str], DataFrame]:
     """Lose the state of two chains after a refresh, rebuild it, and read the cube from the state."""
 
     def query(spark: SparkSession, sf: str) -> DataFrame:
-        rows = lineitem(spark, sf)
-        base, delta = T.base_part(rows), T.delta_part(rows, 20)
+        base, delta = split(lineitem(spark, sf), [20])
         kind = "view" if manner == "incremental" else "input"
         store = _new_store(spark, spec, snapshots=SnapshotPolicy(None))
         maintain.materialize_cached(base, spec, store, kind)
@@ -187,19 +182,48 @@ def _sql(spark: SparkSession, sf: str) -> DataFrame:
     return made.df
 
 
-def _touched(which) -> Callable[[SparkSession, str], DataFrame]:
+def _touched(which, split=T.fixed_parts) -> Callable[[SparkSession, str], DataFrame]:
     def query(spark: SparkSession, sf: str) -> DataFrame:
-        rows, spec = lineitem(spark, sf), CubeSpec(POSD[:3], (SUM_QTY,))
-        return which(M.materialize(T.base_part(rows), spec), T.delta_part(rows, 20)).select("cuboid_id", *spec.dims)
+        (base, delta), spec = split(lineitem(spark, sf), [20]), CubeSpec(POSD[:3], (SUM_QTY,))
+        return which(M.materialize(base, spec), delta).select("cuboid_id", *spec.dims)
 
     return query
 
 
-def _diff(spark: SparkSession, sf: str) -> DataFrame:
+def _diff(spark: SparkSession, sf: str, split=T.fixed_parts) -> DataFrame:
     """Cells that a delta of five percent changes or makes, old and new."""
-    rows, spec = lineitem(spark, sf), flag_spec(SUM_QTY)
-    a = M.materialize(T.base_part(rows), spec)
-    return answer.cube_diff(a, M.materialize(T.base_part(rows).unionByName(T.delta_part(rows, 5)), spec))
+    (base, delta), spec = split(lineitem(spark, sf), [5]), flag_spec(SUM_QTY)
+    return answer.cube_diff(M.materialize(base, spec), M.materialize(base.unionByName(delta), spec))
+
+
+def _moments(split=T.fixed_parts) -> Callable[[SparkSession, str], DataFrame]:
+    spec = flag_spec(Agg("avg", "l_quantity", alias="avg_qty"), Agg("stddev", "l_quantity", alias="stddev_qty"))
+    return lambda spark, sf: rounded(_refreshed(spec, "incremental_reuse", [50], split)(spark, sf), "avg_qty", "stddev_qty")
+
+
+def _delta_view(split=T.fixed_parts) -> Callable[[SparkSession, str], DataFrame]:
+    return lambda spark, sf: M.materialize(split(lineitem(spark, sf), [20])[1], spec4(SUM_QTY)).df
+
+
+def _maintained_whole() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    """Maintenance and recovery where base and deltas together are the whole table."""
+    whole, sums, medians = T.whole_parts, spec4(SUM_QTY), spec4(MEDIAN_QTY)
+    return {
+        "refresh_sum_incr_reuse_whole": _refreshed(sums, "incremental_reuse", [20], whole),
+        "refresh_sum_incr_on_read_whole": _refreshed(flag_spec(SUM_QTY), "incremental_reuse", [5, 5, 10], whole, merge="on_read"),
+        "refresh_sum_incr_reload_whole": _reloaded(sums, 20, whole),
+        "refresh_sum_recompute_reuse_whole": _refreshed(sums, "recompute_reuse", [20], whole),
+        "refresh_sum_recompute_reload_whole": _recompute_reload(sums, 20, whole),
+        "refresh_median_recompute_reuse_whole": _refreshed(medians, "recompute_reuse", [20], whole),
+        "refresh_median_recompute_reload_whole": _recompute_reload(medians, 20, whole),
+        "refresh_moments_whole": _moments(whole),
+        "recover_incremental_whole": _recovered(CubeSpec(POSD[:3], (SUM_QTY,)), "incremental", whole),
+        "recover_recompute_whole": _recovered(CubeSpec(POSD[:3], (MEDIAN_QTY,)), "recompute", whole),
+        "delta_view_whole": _delta_view(whole),
+        "new_cells_whole": _touched(maintain.delta_new_cells, whole),
+        "touched_cells_whole": _touched(maintain.touched_cells, whole),
+        "cube_diff_whole": lambda spark, sf: _diff(spark, sf, whole),
+    }
 
 
 def _on(spec: CubeSpec, use) -> Callable[[SparkSession, str], DataFrame]:
@@ -291,7 +315,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "refresh_median_recompute_reuse": _refreshed(spec4(MEDIAN_QTY), "recompute_reuse", [20]),
         "refresh_median_recompute_reload": _recompute_reload(spec4(MEDIAN_QTY), 20),
         "refresh_multi_delta": _refreshed(CubeSpec(POSD[:3], (SUM_QTY,)), "incremental_reuse", [20, 20, 20, 20, 20], snapshots=SnapshotPolicy(2)),
-        "refresh_moments": lambda spark, sf: rounded(_refreshed(flag_spec(Agg("avg", "l_quantity", alias="avg_qty"), Agg("stddev", "l_quantity", alias="stddev_qty")), "incremental_reuse", [50])(spark, sf), "avg_qty", "stddev_qty"),
+        "refresh_moments": _moments(),
         "recover_incremental": _recovered(CubeSpec(POSD[:3], (SUM_QTY,)), "incremental"),
         "recover_recompute": _recovered(CubeSpec(POSD[:3], (MEDIAN_QTY,)), "recompute"),
         "agg_minmaxavg": lambda spark, sf: rounded(_cube(flag_spec(*ALL_AGGS))(spark, sf), "avg_qty"),
@@ -300,7 +324,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "agg_median_mode_distinct": _cube(flag_spec(*HELD_AGGS)),
         "agg_user": _user,
         "agg_sketches": _approx,
-        "delta_view": lambda spark, sf: M.materialize(T.delta_part(lineitem(spark, sf), 20), spec4(SUM_QTY)).df,
+        "delta_view": _delta_view(),
         "new_cells": _touched(maintain.delta_new_cells),
         "touched_cells": _touched(maintain.touched_cells),
         "cube_diff": _diff,
@@ -327,6 +351,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "lattice_table": lambda spark, sf: lattice_table(spark, ["A", "B", "C", "D"]),
         "chain_plan_table": lambda spark, sf: chain_table(spark, ["A", "B", "C", "D"]),
         "cuboids_of": _cuboids_of,
+        **_maintained_whole(),
     }
 
 
@@ -422,6 +447,29 @@ def oracle_sql() -> dict[str, str]:
         "lattice_table": "SELECT CAST(number AS INTEGER) AS number, CAST(n_dims AS INTEGER) AS n_dims, members FROM (VALUES " + ", ".join(f"({i}, {c.count(',') + 1}, '{c}')" for i, c in enumerate(lattice, 1)) + ") t(number, n_dims, members)",
         "chain_plan_table": "SELECT CAST(chain AS INTEGER) AS chain, sort_dims, part_dims, CAST(members AS INTEGER) AS members, tag FROM (VALUES " + ", ".join(f"({i}, '{o}', '{p}', {n}, '{sum(1 << b for b in bits):016b}')" for i, (o, p, n, bits) in enumerate(plan)) + ") t(chain, sort_dims, part_dims, members, tag)",
         "cuboids_of": "SELECT CAST(number AS INTEGER) AS number, members FROM (VALUES (1, 'A'), (5, 'A,B'), (11, 'A,B,C'), (15, 'A,B,C,D')) t(number, members)",
+        **_whole_sql(),
+    }
+
+
+def _whole_sql() -> dict[str, str]:
+    """The queries whose base and deltas are the whole table; a refreshed cube is the cube of all rows."""
+    s, pos, year = "sum(l_quantity) AS sum_qty", POSD[:3], "(SELECT *, CAST(year(l_shipdate) AS INTEGER) AS ship_year FROM lineitem)"
+    m = "median(l_quantity) AS median_qty"
+    in_base = lambda p: f"coalesce((l_orderkey * 31 + l_linenumber) % 200, 0) * {100 + p} < 20000"
+    base, delta = _cube_sql(pos, s, where=in_base(20)), _cube_sql(pos, s, where=f"NOT {in_base(20)}")
+    same = " AND ".join(f"a.{c} IS NOT DISTINCT FROM b.{c}" for c in ("cuboid_id", *pos))
+    old, new = _cube_sql(FLAGS, s, year, where=in_base(5)), _cube_sql(FLAGS, s, year)
+    return {
+        **dict.fromkeys(("refresh_sum_incr_reuse_whole", "refresh_sum_incr_reload_whole", "refresh_sum_recompute_reuse_whole", "refresh_sum_recompute_reload_whole"), _cube_sql(POSD, s)),
+        **dict.fromkeys(("refresh_median_recompute_reuse_whole", "refresh_median_recompute_reload_whole"), _cube_sql(POSD, m)),
+        "refresh_sum_incr_on_read_whole": new,
+        "refresh_moments_whole": _cube_sql(FLAGS, "round(avg(l_quantity), 6) + 0.0 AS avg_qty, round(stddev_samp(l_quantity), 6) + 0.0 AS stddev_qty", year),
+        "recover_incremental_whole": _cube_sql(pos, s),
+        "recover_recompute_whole": _cube_sql(pos, m),
+        "delta_view_whole": _cube_sql(POSD, s, where=f"NOT {in_base(20)}"),
+        "new_cells_whole": f"SELECT cuboid_id, {', '.join(pos)} FROM ({delta}) a WHERE NOT EXISTS (SELECT 1 FROM ({base}) b WHERE {same})",
+        "touched_cells_whole": f"SELECT cuboid_id, {', '.join(pos)} FROM ({base}) a WHERE EXISTS (SELECT 1 FROM ({delta}) b WHERE {same})",
+        "cube_diff_whole": f"SELECT *, 'a' AS side FROM (({old}) EXCEPT ALL ({new})) UNION ALL SELECT *, 'b' AS side FROM (({new}) EXCEPT ALL ({old}))",
     }
 
 

@@ -246,6 +246,33 @@ def test_queries_have_sql(spark):
     assert set(workloads.queries()) == set(workloads.oracle_sql())
 
 
+@pytest.mark.parametrize("percents", [[5], [20], [50], [5, 5, 10], [20] * 5], ids=str)
+def test_base_and_deltas_are_the_whole_table(spark, percents):
+    rows = T.read_table(spark, SF, "lineitem").select("l_orderkey", "l_linenumber").unionByName(spark.createDataFrame([(None, 1), (-7, 3)], "l_orderkey long, l_linenumber int"))
+    parts = T.whole_parts(rows, percents)
+    numbered = parts[0].withColumn("part", F.lit(0))
+    for i, p in enumerate(parts[1:], 1):
+        numbered = numbered.unionByName(p.withColumn("part", F.lit(i)))
+    sizes = {r.part: r.n for r in numbered.groupBy("part").agg(F.count("*").alias("n")).collect()}
+    assert sum(sizes.values()) == rows.count() and numbered.drop("part").exceptAll(rows).isEmpty()
+    assert all(abs(sizes[i] / sizes[0] - p / 100) < 0.05 for i, p in enumerate(percents, 1))
+
+
+@pytest.mark.parametrize("name", ["refresh_sum_incr_on_read", "refresh_sum_incr_reload", "recover_incremental", "cube_diff"])
+def test_maintenance_covers_the_whole_table(spark, name):
+    from latticecube import workloads
+
+    spec = CubeSpec(workloads.POSD[:3], (workloads.SUM_QTY,)) if name == "recover_incremental" else workloads.spec4(workloads.SUM_QTY) if "reload" in name else workloads.flag_spec(workloads.SUM_QTY)
+    n = len(spec.dims)
+    want = cells(M.materialize(T.read_table(spark, SF, "lineitem"), spec).df, n)
+    got = workloads.queries()[f"{name}_whole"](spark, SF)
+    if name == "cube_diff":
+        got = {k: v[:-1] for k, v in cells(got.where("side = 'b'"), n).items()}
+        assert got and all(want[k] == v for k, v in got.items())
+    else:
+        assert cells(got, n) == want
+
+
 def test_own_state_gives_the_median(spark, tmp_path):
     from latticecube.streaming import statecube
 
