@@ -3,7 +3,10 @@
 Fixed masks over ``SPAN`` consecutive words keep some positions and ignore the others, so a copied passage with single words
 replaced still yields equal hashes.  Every window of every document is hashed under every mask inside one generated-code stage and
 looked up among the benchmark's hashes; a hit fixes an alignment of an item with a document, along which equal words are counted.
-An item is found where at least half of its words, and eight (all, if it is shorter), agree.
+An item is found in any of three ways: at least half of its words, and eight (all, if it is shorter), agree on one alignment; or
+``LOCAL`` words agree within some ``LOCAL / SHARE`` words in a row of one alignment, which finds an excerpt of a longer item; or the
+words that agree in the hits' own windows reach the first bar over all alignments of the item with the document, which finds a copy
+with words inserted or deleted.  ``matched_words`` counts the best single alignment of the found items.
 
 Items shorter than the span get a mask of their own length that ignores nothing; each distinct length below ``SPAN`` is one more mask.
 
@@ -24,6 +27,7 @@ MASKS = ("110110011", "101011101", "111001011")
 SPAN = 9
 SHARE = 0.5
 LEAST = 8
+LOCAL = 13
 
 
 def words_of(text: Column) -> Column:
@@ -35,31 +39,40 @@ def _seed(words: Column, at: Column, mask: str, number: int) -> Column:
 
 
 def seeds(rows: DataFrame, masks: tuple[str, ...], id_column: str) -> DataFrame:
-    """``id, at, seed`` for each window and mask of ``rows(id, words)``."""
+    """``id, at, mask, seed`` for each window and mask of ``rows(id, words)``, mask being its number."""
     least = min(len(m) for m in masks)
     placed = rows.where(F.size("words") >= least).select(id_column, "words", F.explode(F.sequence(F.lit(0), F.size("words") - least)).alias("at"))
     each = F.array(*[F.when(F.col("at") + len(m) <= F.size("words"), _seed(F.col("words"), F.col("at"), m, i)) for i, m in enumerate(masks)])
-    return placed.select(id_column, "at", F.explode(each).alias("seed")).where(F.col("seed").isNotNull())
+    return placed.select(id_column, "at", F.posexplode(each).alias("mask", "seed")).where(F.col("seed").isNotNull())
 
 
 def overlaps(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """``doc, item_id, start, matched, item_words``: alignments that count, doc being ``struct(doc_id, text hash of rows without id)``."""
+    """``doc, item_id, matched``: items found, with the best alignment's count, doc being ``struct(doc_id, text hash of rows without id)``."""
     items = common.written(benchmark.select(F.col("item_id").cast("long").alias("item_id"), words_of(F.col("text")).alias("words")).where(F.size("words") > 0), "items")
     short = sorted(r["n"] for r in items.select(F.size("words").alias("n")).where(F.col("n") < SPAN).distinct().collect())  # at most SPAN - 1 values
     masks = (*MASKS, *("1" * n for n in short))
     # a long item doesn't need the masks of short ones, but they do no harm: the overlap decides
-    wanted = common.written(seeds(items, masks, "item_id").select("seed", "item_id", F.col("at").alias("item_at")).distinct(), "seeds")
+    wanted = common.written(seeds(items, masks, "item_id").select("seed", "item_id", "mask", F.col("at").alias("item_at")).distinct(), "seeds")
     key = F.struct(F.col("doc_id").cast("long").alias("doc_id"), F.when(F.col("doc_id").isNull(), F.xxhash64("text")).alias("null_key"))
     rows = docs.select(key.alias("doc"), words_of(F.col("text").cast("string")).alias("words"))
-    hits = seeds(rows, masks, "doc").join(common.small_side(wanted), "seed").select("doc", "item_id", (F.col("at") - F.col("item_at")).alias("start")).distinct()
+    # hits of the masks of short items fix alignments, but are too short to add up
+    spot = F.when(F.col("mask") < len(MASKS), F.col("item_at"))
+    hits = seeds(rows, masks, "doc").drop("mask").join(common.small_side(wanted), "seed").select("doc", "item_id", (F.col("at") - F.col("item_at")).alias("start"), spot.alias("spot"))
+    hits = hits.groupBy("doc", "item_id", "start").agg(F.collect_set("spot").alias("spots"))
     hits = common.written(hits, "hits")
     found = common.written(hits.select("doc").distinct(), "hit-docs")
     texts = rows.join(common.small_side(found), "doc", "left_semi")
     both = hits.join(texts, "doc").join(items.select("item_id", F.col("words").alias("item")), "item_id")
-    equal = F.size(F.filter(F.sequence(F.lit(0), F.size("item") - 1), lambda i: F.coalesce(F.when(F.col("start") + i >= 0, F.get("words", F.col("start") + i)) == F.get("item", i), F.lit(False))))
-    counted = both.select("doc", "item_id", "start", equal.alias("matched"), F.size("item").alias("item_words"))
-    enough = (F.col("matched") >= F.ceil(F.col("item_words") * SHARE)) & (F.col("matched") >= F.least(F.lit(LEAST), F.col("item_words")))
-    return counted.where(enough).distinct()
+    agree = F.filter(F.sequence(F.lit(0), F.size("item") - 1), lambda i: F.coalesce(F.when(F.col("start") + i >= 0, F.get("words", F.col("start") + i)) == F.get("item", i), F.lit(False)))
+    placed = both.select("doc", "item_id", "spots", agree.alias("agree"), F.size("item").alias("n"))
+    bar = F.greatest(F.ceil(F.col("n") * SHARE), F.least(F.lit(LEAST), F.col("n")))
+    dense = F.exists(F.sequence(F.lit(0), F.size("agree") - LOCAL), lambda k: F.get("agree", k + (LOCAL - 1)) - F.get("agree", k) < int(LOCAL / SHARE))
+    alone = (F.size("agree") >= bar) | F.when(F.size("agree") >= LOCAL, dense).otherwise(False)
+    near = F.filter("agree", lambda i: F.exists("spots", lambda a: (i >= a) & (i < a + SPAN)))
+    counted = placed.select("doc", "item_id", F.size("agree").alias("matched"), alone.alias("alone"), near.alias("near"), bar.alias("bar"))
+    # equal sets are added once, so a passage repeated many times stays small
+    added = counted.groupBy("doc", "item_id").agg(F.max("matched").alias("matched"), F.bool_or("alone").alias("alone"), F.size(F.array_distinct(F.flatten(F.collect_set("near")))).alias("total"), F.first("bar").alias("bar"))
+    return added.where(F.col("alone") | (F.col("total") >= F.col("bar"))).select("doc", "item_id", "matched")
 
 
 def contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:

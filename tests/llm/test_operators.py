@@ -122,6 +122,30 @@ def test_decontamination_finds_substituted_passages(spark):
     assert decontam.contaminated(docs(spark, odd=False), bench).count() == 0
 
 
+def test_decontamination_finds_excerpts_and_shifted_copies(spark):
+    rng = random.Random(3)
+    word = lambda: rng.choice("abcdefgh") + str(rng.randrange(5000))
+    long, shifted, cut = ([word() for _ in range(n)] for n in (59, 45, 60))
+    every = lambda words, k: [w for i in range(0, len(words), k) for w in [*words[i : i + k], "inserted"]]
+    around = lambda words: [word() for _ in range(40)] + words + [word() for _ in range(40)]
+    found = [
+        around(long[15:44]), long[-20:] + around([]), around([]) + cut[:20], around([w if i % 5 else "other" for i, w in enumerate(long[:29])]),
+        around(every(shifted, 15)), around(every(shifted, 10)), around(shifted[:12] + shifted[13:24] + shifted[25:36] + shifted[37:]),
+    ]
+    clear = [around(long[20:25] + around([]) + long[40:47]), around(shifted[:6]), around([w if i % 2 else word() for i, w in enumerate(cut[:24])]), around(["one", "two", "three"])]
+    # a short item's mask must not let a longer item's single words add up
+    clear.append(around(rng.sample(long, len(long))))
+    bench = spark.createDataFrame([(1, " ".join(long)), (2, " ".join(shifted)), (3, " ".join(cut)), (4, long[7]), (5, "one two four")], "item_id long, text string")
+    rows = [(i, " ".join(w)) for i, w in enumerate(found + clear)]
+    got = {r.doc_id: r for r in decontam.contaminated(docs(spark, rows, odd=False), bench.where("item_id <> 4")).collect()}
+    assert [got[i].contaminated for i in range(len(rows))] == [True] * len(found) + [False] * len(clear)
+    assert got[0].matched_words == 29 and got[0].n_items == 1
+    kept = {r.doc_id for r in decontam.clean(docs(spark, rows, odd=False), bench.where("item_id <> 4")).collect()}
+    assert kept == set(range(len(found), len(rows)))
+    one = {r.doc_id: r.n_items for r in decontam.contaminated(docs(spark, rows[-1:], odd=False), bench).collect()}
+    assert one == {len(rows) - 1: 1}
+
+
 # mixing
 
 
