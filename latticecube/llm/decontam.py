@@ -8,6 +8,10 @@ An item is found in any of three ways: at least half of its words, and eight (al
 words that agree in the hits' own windows reach the first bar over all alignments of the item with the document, which finds a copy
 with words inserted or deleted.  ``matched_words`` counts the best single alignment of the found items.
 
+The seeds find less than the bar accepts.  Copies with words replaced at random places that meet the bar and have no hit, of 4,000 each:
+10-word items 34 % with 2 words replaced; 15-word items 2.5 %, 16 % and 69 % with 3, 4 and 6; 30-word items 0.0 %, 0.6 % and 20 % with
+6, 9 and 12; 45-word items 0.0 %, 0.0 % and 4.3 % with 9, 14 and 18.  A copy with every third word replaced is never hit.
+
 Items shorter than the span get a mask of their own length that ignores nothing; each distinct length below ``SPAN`` is one more mask.
 
 Edge cases: words are maximal runs of anything but ASCII white space, in lower case; null and empty texts and items have none and are
