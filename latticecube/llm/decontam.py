@@ -97,7 +97,7 @@ def clean(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
 
 
 def oracle() -> str:
-    """The same by SQL, over all windows of all documents."""
+    """By SQL, over all windows of all documents, for items of ``SPAN`` words or more; excerpts and shifted copies below the first bar are not in it."""
     split = r"list_filter(regexp_split_to_array(lower(coalesce(text, '')), '[\x20\x09-\x0D]+'), lambda w: w <> '')"
     key = lambda m: "list_value(" + ", ".join(f"words[pos + {i + 1}]" for i, c in enumerate(m) if c == "1") + ")"
     windows = lambda table, key_column: " UNION ALL ".join(f"SELECT {key_column}, pos, {i} AS mask, {key(m)} AS seed FROM (SELECT *, unnest(range(0, len(words) - {SPAN - 1})) AS pos FROM {table} WHERE len(words) >= {SPAN})" for i, m in enumerate(MASKS))
