@@ -124,6 +124,10 @@ class Keyed:
 _hex = {c: (HEX, i) for i, c in enumerate(HEX)}
 
 
+def _ending(name: str) -> str:
+    return next((e for e in ENDINGS if name.endswith(e) and len(name) > len(e) + 1), "")
+
+
 class Surrogates:
     def __init__(self, key: bytes):
         self.k = Keyed(key)
@@ -175,11 +179,11 @@ class Surrogates:
         return names[self.k.step(i, len(names), "given" + names[0])]
 
     def _surname(self, v: str) -> str:
-        end = next((e for e in ENDINGS if v.endswith(e) and len(v) > len(e) + 1), "")
+        end = _ending(v)
         out = v
-        while True:  # on along the cycle past values that are given names
+        while True:  # on along the cycle past values that are given names or belong to another ending
             out = self.k.text(out[: len(out) - len(end)], "name" + end) + end
-            if out not in _given:
+            if out == v or (out not in _given and _ending(out) == end):
                 return out
 
 

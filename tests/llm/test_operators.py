@@ -95,6 +95,16 @@ def test_components(spark):
     assert got == {v: find(v) for v in parent}
 
 
+def test_surnames_keep_their_ending_class():
+    made, rng = pii.Surrogates(b"key"), random.Random(4)
+    letters = "бвгджзйклмнпрстфхцчшщ", "аеёиоуыэюя"
+    names = {"".join(rng.choice(letters[k]) for k in (0, 1, 1, 0)).capitalize() for _ in range(8000)}
+    names |= {n[:2] + e for n in names for e in pii.ENDINGS}
+    of = {n: made.of("surname", n) for n in names}
+    assert len(set(of.values())) == len(of)
+    assert all(pii._ending(n) == pii._ending(v) for n, v in of.items())
+
+
 # decontamination
 
 
