@@ -14,7 +14,7 @@ def main() -> None:
     from pyspark.sql import SparkSession
 
     sf_dir, cpus = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1"), os.environ.get("BENCH_CPUS", "8")
-    repeats = int(os.environ.get("BENCH_REPEATS", "2"))
+    repeats = int(os.environ.get("BENCH_REPEATS", "3"))
     spark = (
         SparkSession.builder.master(f"local[{cpus}]")
         .config("spark.sql.shuffle.partitions", str(3 * int(cpus)))
@@ -29,19 +29,16 @@ def main() -> None:
     from latticecube import workloads as W
     from latticecube.operators import maintain
     from latticecube.operators import materialize as M
-    from latticecube.sources import tables as T
 
-    rows = W.lineitem(spark, sf_dir)
+    # the given table is one file of one row group, which one task reads: lay it out in files once, as a large table is
+    laid = W.files.scratch_dir(spark)
+    W.lineitem(spark, sf_dir).repartition(2 * int(cpus)).write.parquet(laid)
+    rows = spark.read.parquet(laid)
     sums, medians = W.spec4(W.SUM_QTY), W.spec4(W.MEDIAN_QTY)
     warm = W.lineitem(spark, os.path.join(os.path.dirname(sf_dir.rstrip("/")), "sf0.001"))
     for spec in (sums, medians):
         metrics.drain(M.materialize(warm, spec).df)
 
-    def store_of(spec, kind):
-        store = W._new_store(spark, spec)
-        maintain.materialize_cached(T.base_part(rows), spec, store, kind)
-        return store
-
     out: dict[str, float] = {}
     shuffled: dict[str, int] = {}
 
@@ -61,25 +58,24 @@ def main() -> None:
         measure(f"cube_{fn}_per_cuboid", lambda spec=spec: W.run_per_cuboid(rows, spec), times=1)
         measure(f"cube_{fn}_unshared", lambda spec=spec: metrics.drain(M.materialize(rows, spec, method="fanout_unshared").df))
         measure(f"cube_{fn}_native", lambda spec=spec: metrics.drain(M.materialize(rows, spec, method="native_cube").df))
-    measure("cube_sum_cached", lambda: metrics.drain(maintain.materialize_cached(rows, sums, W._new_store(spark, sums), "view").df), times=1)
-    measure("cube_median_cached", lambda: metrics.drain(maintain.materialize_cached(rows, medians, W._new_store(spark, medians), "input").df), times=1)
-    for p in (5, 100):
-        delta = T.delta_part(rows, p)
-        measure(f"refresh_sum_incremental_reuse_{p}", lambda s, delta=delta: metrics.drain(maintain.refresh(s, delta, "incremental_reuse").cube.df), 1, lambda: store_of(sums, "view"))
-        measure(f"refresh_sum_recompute_reuse_{p}", lambda s, delta=delta: metrics.drain(maintain.refresh(s, delta, "recompute_reuse").cube.df), 1, lambda: store_of(sums, "input"))
-        measure(f"refresh_median_recompute_reuse_{p}", lambda s, delta=delta: metrics.drain(maintain.refresh(s, delta, "recompute_reuse").cube.df), 1, lambda: store_of(medians, "input"))
-        for fn, spec in (("sum", sums), ("median", medians)):
-            measure(f"refresh_{fn}_recompute_reload_{p}", lambda delta=delta, spec=spec: metrics.drain(M.materialize(T.base_part(rows).unionByName(delta), spec).df), 1)
 
-        def published(delta=delta):
-            root = W.files.scratch_dir(spark)
-            maintain.view_states(T.base_part(rows), sums).write.parquet(f"{root}/view")
-            return root
+    def cached(spec, kind):
+        cube = maintain.materialize_cached(rows, spec, W._new_store(spark, spec), kind)
+        if kind == "input":  # a view cache is itself the published views
+            W.published(cube.df)
 
-        measure(f"refresh_sum_incremental_reload_{p}", lambda root, delta=delta: metrics.drain(maintain.incremental_reload(f"{root}/view", delta, sums, f"{root}/delta", f"{root}/new").df), 1, published)
+    for fn, spec, kind in (("sum", sums, "view"), ("median", medians, "input")):
+        measure(f"cube_{fn}_published", lambda spec=spec: W.published(M.materialize(rows, spec).df))
+        measure(f"cube_{fn}_cached", lambda spec=spec, kind=kind: cached(spec, kind))
+    for p in (5, 100):
+        base, delta = W.parts_as_files(rows, p, 2 * int(cpus))
+        for fn, spec, manners in (("sum", sums, ("incremental", "recompute")), ("median", medians, ("recompute",))):
+            for manner in manners:
+                for how in ("reuse", "reload"):
+                    measure(f"refresh_{fn}_{manner}_{how}_{p}", lambda run: run(), prepare=W.one_refresh(spec, f"{manner}_{how}", base, delta))
     ratio = lambda a, b: round(out[a] / out[b], 2)
     ratios = {f"{fn}_{m}_over_shared": ratio(f"cube_{fn}_{m}", f"cube_{fn}_shared") for fn in ("sum", "median") for m in ("per_cuboid", "unshared", "native")}
-    ratios |= {f"{fn}_cache_overhead": round(ratio(f"cube_{fn}_cached", f"cube_{fn}_shared") - 1, 2) for fn in ("sum", "median")}
+    ratios |= {f"{fn}_cache_overhead": round(ratio(f"cube_{fn}_cached", f"cube_{fn}_published") - 1, 2) for fn in ("sum", "median")}
     for p in (5, 100):
         ratios |= {f"{k}_reload_over_reuse_{p}": ratio(f"refresh_{k}_reload_{p}", f"refresh_{k}_reuse_{p}") for k in ("sum_incremental", "sum_recompute", "median_recompute")}
     print(json.dumps({"metric": "headline queries, total", "value": round(sum(out.values()), 3), "unit": "sec", "queries": out, "sf": sf_dir.rstrip("/").rsplit("sf", 1)[-1], "ratios": ratios, "shuffled_records": shuffled}))

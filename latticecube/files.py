@@ -47,6 +47,11 @@ class Files:
         fs, at = self.fs(), self.path(f"{self.root}/{folder}")
         return sorted(s.getPath().getName() for s in fs.listStatus(at)) if fs.exists(at) else []
 
+    def sizes(self, folder: str) -> dict[str, int]:
+        """Bytes of each file of a folder, none where there is no such folder."""
+        fs, at = self.fs(), self.path(f"{self.root}/{folder}")
+        return {s.getPath().getName(): int(s.getLen()) for s in fs.listStatus(at) if s.isFile()} if fs.exists(at) else {}
+
     def size(self, name: str) -> int:
         fs, at = self.fs(), self.path(name)
         return int(fs.getContentSummary(at).getLength()) if fs.exists(at) else 0
@@ -56,6 +61,10 @@ class Files:
 
 
 def scratch_dir(spark: SparkSession) -> str:
-    """A folder that driver and executors share: ``spark.checkpoint.dir`` where set, else one of this machine (tests)."""
+    """A folder that driver and executors share: ``spark.checkpoint.dir``; only a local master may do without, with a folder of its machine."""
     root = spark.conf.get("spark.checkpoint.dir", None)
-    return f"{(root or 'file://' + tempfile.mkdtemp(prefix='latticecube-')).rstrip('/')}/latticecube/{uuid.uuid4().hex}"
+    if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+        root = "file://" + tempfile.mkdtemp(prefix="latticecube-")
+    return f"{root.rstrip('/')}/latticecube/{uuid.uuid4().hex}"

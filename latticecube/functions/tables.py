@@ -25,7 +25,7 @@ def lattice_table(spark: SparkSession, dims: list[str]) -> DataFrame:
     return spark.createDataFrame(rows, "number int, n_dims int, members string")
 
 
-def chain_table(spark: SparkSession, dims: list[str], strategy: str = "greedy_hop") -> DataFrame:
+def chain_table(spark: SparkSession, dims: list[str], strategy: str = "auto") -> DataFrame:
     lattice = Lattice(dims)
     rows = [(i, ",".join(c.sort_dims), ",".join(c.part_dims), len(c.members), format(c.bitmap(lattice), f"0{2 ** len(dims)}b")) for i, c in enumerate(plan_chains(dims, strategy=strategy).chains)]
     return spark.createDataFrame(rows, "chain int, sort_dims string, part_dims string, members int, tag string")

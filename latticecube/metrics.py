@@ -1,11 +1,13 @@
 """Cost measures: wall time, shuffled and read data, time of each slot.
 
-Stage and task figures come from Spark's status store, which is a developer API; everything that touches it is here.
+Stage and task figures come from Spark's status store, which is a developer API; everything that touches it is here.  Where it can't be read, ``watch``
+raises: figures are never silently empty.
 """
 
 from __future__ import annotations
 
 import contextlib
+import re
 import statistics
 import time
 from dataclasses import dataclass, field
@@ -19,6 +21,7 @@ class Seen:
 
     seconds: float = 0.0
     stages: list[dict] = field(default_factory=list)
+    timers: dict[str, float] = field(default_factory=dict)
 
     def total(self, key: str) -> int:
         return sum(s[key] for s in self.stages)
@@ -30,8 +33,13 @@ class Seen:
         return {"records": self.total("input_records"), "bytes": self.total("input_bytes")}
 
     def breakdown(self) -> dict[str, float]:
-        """Task seconds by part: waiting for the shuffle, computing (sorting and processing), and collecting garbage; bytes spilled."""
-        return {"shuffle_wait_s": self.total("fetch_wait_ms") / 1e3, "process_s": self.total("run_ms") / 1e3, "gc_s": self.total("gc_ms") / 1e3, "spilled": self.total("spilled")}
+        """Task seconds by part of a batch's cost: shuffle (write, wait), sort, write of the result, and processing (the rest); garbage; bytes spilled.
+
+        Sort and write times are the plan's own SQL metrics.
+        """
+        shuffle, run = (self.total("shuffle_write_ms") + self.total("fetch_wait_ms")) / 1e3, self.total("run_ms") / 1e3
+        sort, write = self.timers.get("sort time", 0.0), self.timers.get("task commit time", 0.0)
+        return {"shuffle_s": shuffle, "sort_s": sort, "write_s": write, "process_s": max(0.0, run - shuffle - sort - write), "gc_s": self.total("gc_ms") / 1e3, "spilled": self.total("spilled"), "written_bytes": self.total("output_bytes")}
 
     def slots(self, n: int) -> list[tuple[float, int]]:
         """``(seconds, records read)`` of each task of the stage with n tasks that read most from a shuffle."""
@@ -51,39 +59,65 @@ def _stages(spark: SparkSession):
 
 
 def _ids(spark: SparkSession) -> set[tuple[int, int]]:
-    try:
-        return {(s.stageId(), s.attemptId()) for s in _stages(spark)[1]}
-    except Exception:
-        return set()
+    return {(s.stageId(), s.attemptId()) for s in _stages(spark)[1]}
+
+
+def _queries(spark: SparkSession) -> int:
+    return spark._jsparkSession.sharedState().statusStore().executionsCount()
+
+
+def _seconds(text: str) -> float:
+    """The first duration in a metric's text, as Spark prints it: a total, then least, median and most in brackets."""
+    found = re.search(r"([\d.,]+) (ms|s|m|h)\b", text)
+    return float(found[1].replace(",", "")) * {"ms": 1e-3, "s": 1.0, "m": 60.0, "h": 3600.0}[found[2]] if found else 0.0
+
+
+def _timers(spark: SparkSession, after: int) -> dict[str, float]:
+    """Seconds by name of the SQL time metrics of queries since: "sort time", "task commit time" and so on."""
+    store = spark._jsparkSession.sharedState().statusStore()
+    out: dict[str, float] = {}
+    for i in range(after, store.executionsCount()):
+        run = store.executionsList(i, 1)
+        if run.isEmpty():
+            continue
+        values, listed = store.executionMetrics(run.head().executionId()), run.head().metrics()
+        for j in range(listed.size()):
+            m = listed.apply(j)
+            if m.metricType() in ("timing", "nsTiming"):
+                text = values.get(m.accumulatorId())
+                if text.isDefined():
+                    out[m.name()] = out.get(m.name(), 0.0) + _seconds(text.get())
+    return out
 
 
 @contextlib.contextmanager
 def watch(spark: SparkSession):
     """Collect the figures of all stages that run inside."""
-    before, seen, began = _ids(spark), Seen(), time.perf_counter()
+    before, queries_before, seen, began = _ids(spark), _queries(spark), Seen(), time.perf_counter()
     yield seen
     seen.seconds = time.perf_counter() - began
-    try:
-        spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty(10_000)
-        store, stages = _stages(spark)
-        for s in stages:
-            if (s.stageId(), s.attemptId()) in before or s.numCompleteTasks() == 0:
-                continue
-            tasks = []
-            listed = store.taskList(s.stageId(), s.attemptId(), 100_000)
-            for i in range(listed.size()):
-                t = listed.apply(i)
-                m = t.taskMetrics()
-                if m.isDefined():
-                    m = m.get()
-                    r = m.shuffleReadMetrics()
-                    tasks.append({"index": t.index(), "run_ms": m.executorRunTime(), "read": r.recordsRead()})
-            seen.stages.append({
-                "id": s.stageId(), "tasks": tasks, "run_ms": s.executorRunTime(), "gc_ms": s.jvmGcTime(), "fetch_wait_ms": s.shuffleFetchWaitTime(), "spilled": s.diskBytesSpilled(),
-                "shuffle_records": s.shuffleWriteRecords(), "shuffle_bytes": s.shuffleWriteBytes(), "shuffle_read": s.shuffleReadRecords(), "input_records": s.inputRecords(), "input_bytes": s.inputBytes(),
-            })
-    except Exception:  # another Spark version: wall time only
-        seen.stages = []
+    spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty(60_000)
+    store, stages = _stages(spark)
+    for s in stages:
+        if (s.stageId(), s.attemptId()) in before or s.numCompleteTasks() == 0:
+            continue
+        tasks = []
+        listed = store.taskList(s.stageId(), s.attemptId(), s.numTasks() + s.numFailedTasks() + s.numKilledTasks())
+        if listed.size() < s.numCompleteTasks():
+            raise RuntimeError("tasks of a stage are no longer in the status store: raise spark.ui.retainedTasks")
+        for i in range(listed.size()):
+            t = listed.apply(i)
+            m = t.taskMetrics()
+            if m.isDefined():
+                m = m.get()
+                r = m.shuffleReadMetrics()
+                tasks.append({"index": t.index(), "run_ms": m.executorRunTime(), "read": r.recordsRead()})
+        seen.stages.append({
+            "id": s.stageId(), "tasks": tasks, "run_ms": s.executorRunTime(), "gc_ms": s.jvmGcTime(), "fetch_wait_ms": s.shuffleFetchWaitTime(), "spilled": s.diskBytesSpilled(),
+            "shuffle_write_ms": s.shuffleWriteTime() / 1e6, "output_bytes": s.outputBytes(), "output_records": s.outputRecords(),
+            "shuffle_records": s.shuffleWriteRecords(), "shuffle_bytes": s.shuffleWriteBytes(), "shuffle_read": s.shuffleReadRecords(), "input_records": s.inputRecords(), "input_bytes": s.inputBytes(),
+        })
+    seen.timers = _timers(spark, queries_before)
 
 
 def drain(df: DataFrame) -> None:

@@ -9,11 +9,12 @@ from latticecube.operators.materialize import CubeResult
 
 
 def covering(cube: CubeResult, needed: set[str]) -> frozenset[str]:
-    """The smallest materialized cuboid that has all needed dimensions."""
+    """The smallest materialized cuboid that has all needed dimensions: by its cells where the cube was written, else by its dimensions."""
     fits = [m for m in cube.spec.wanted() if needed <= m]
     if not fits:
         raise ValueError(f"no cuboid covers {sorted(needed)}")
-    return min(fits, key=lambda m: (len(m), cube.spec.cuboid_id(m)))
+    cells = lambda m: cube.cells.get(cube.spec.cuboid_id(m), 0) if cube.cells is not None else 0
+    return min(fits, key=lambda m: (cells(m), len(m), cube.spec.cuboid_id(m)))
 
 
 #: How a cell's value is made from values of finer cells.
@@ -93,12 +94,12 @@ def cube_diff(a: CubeResult, b: CubeResult) -> DataFrame:
     return left.unionByName(b.df.exceptAll(a.df).withColumn("side", F.lit("b")))
 
 
-def cube_as_of(versions: DataFrame, probes: DataFrame, ts: str, keys: list[str], value: str) -> DataFrame:
-    """For each probe the last version's value at its time: a union and one window, no range join."""
+def cube_as_of(versions: DataFrame, probes: DataFrame, ts: str, keys: list[str], value: str, strictly: bool = False) -> DataFrame:
+    """For each probe the last version's value at its time, or strictly before it: a union and one window, no range join."""
     v = versions.select(*keys, F.col(ts).alias("__t"), F.lit(0).alias("__probe"), F.col(value).alias("__v"), F.lit(None).alias("__row"))
-    p = probes.select(*keys, F.col(ts).alias("__t"), F.lit(1).alias("__probe"), F.lit(None).alias("__v"), F.struct(*probes.columns).alias("__row"))
+    p = probes.select(*keys, F.col(ts).alias("__t"), F.lit(-1 if strictly else 1).alias("__probe"), F.lit(None).alias("__v"), F.struct(*probes.columns).alias("__row"))
     w = Window.partitionBy(*keys).orderBy("__t", "__probe").rowsBetween(Window.unboundedPreceding, 0)
-    both = v.unionByName(p).withColumn("__last", F.last("__v", ignorenulls=True).over(w)).where("__probe = 1")
+    both = v.unionByName(p).withColumn("__last", F.last("__v", ignorenulls=True).over(w)).where("__probe <> 0")
     return both.select("__row.*", F.col("__last").alias(value))
 
 

@@ -8,7 +8,8 @@ from math import comb
 
 from latticecube.plans.lattice import Lattice
 
-STRATEGIES = ("greedy", "greedy_hop", "symmetric", "exact", "singletons")
+#: "auto" is hop-greedy, whose orderings are few up to seven dimensions, and above them symmetric chains (full cube) or the exact cover (partial).
+STRATEGIES = ("auto", "greedy", "greedy_hop", "symmetric", "exact", "singletons")
 
 
 def is_prefix_ancestor(cuboid, order) -> bool:
@@ -137,7 +138,7 @@ def _exact(dims: tuple[str, ...], wanted: list[frozenset[str]]) -> list[Chain]:
     return out
 
 
-def plan_chains(dims, cuboids=None, strategy: str = "greedy_hop", early_stop: bool = True) -> ChainPlan:
+def plan_chains(dims, cuboids=None, strategy: str = "auto", early_stop: bool = True) -> ChainPlan:
     """Cover the wanted cuboids with chains; a full cube gets the minimum number, by another strategy if greed misses it."""
     if strategy not in STRATEGIES:
         raise ValueError(f"no strategy {strategy}")
@@ -145,8 +146,8 @@ def plan_chains(dims, cuboids=None, strategy: str = "greedy_hop", early_stop: bo
     full = [c for level in reversed(lattice.levels()) for c in level]
     wanted = full if cuboids is None else [c for c in full if c in {frozenset(x) for x in cuboids}]
     complete, tried = len(wanted) == len(full), 0
-    if strategy == "greedy_hop" and len(lattice.dims) >= 8:
-        strategy = "symmetric" if complete else "exact"
+    if strategy == "auto":
+        strategy = "greedy_hop" if len(lattice.dims) < 8 else "symmetric" if complete else "exact"
     if strategy == "singletons":
         place = {d: i for i, d in enumerate(lattice.dims)}
         chains = [Chain(tuple(sorted(c, key=place.__getitem__)), (c,)) for c in wanted]

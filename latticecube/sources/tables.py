@@ -21,21 +21,6 @@ def split_number() -> Column:
     return (F.col("l_orderkey") * 31 + F.col("l_linenumber")) % 200
 
 
-def base_part(lineitem: DataFrame) -> DataFrame:
-    return lineitem.where(split_number() < 100)
-
-
-def delta_part(lineitem: DataFrame, percent: int, start: int = 0) -> DataFrame:
-    """The delta of so many percent of the base, after the first ``start`` percent."""
-    u = split_number()
-    return lineitem.where((u >= 100 + start) & (u < 100 + start + percent))
-
-
-def fixed_parts(lineitem: DataFrame, percents: list[int]) -> list[DataFrame]:
-    """The base, of half the table, and the deltas one after another; rows after the last delta are in no part."""
-    return [base_part(lineitem), *(delta_part(lineitem, p, sum(percents[:i])) for i, p in enumerate(percents))]
-
-
 def whole_parts(lineitem: DataFrame, percents: list[int]) -> list[DataFrame]:
     """The base and deltas of so many percent of it, together the whole table; rows without a split number are in the base."""
     at = F.coalesce(split_number(), F.lit(0)) * (100 + sum(percents))

@@ -38,6 +38,8 @@ class CubeSpec:
                 raise ValueError(f"no such cuboid: {sorted(c)}")
         if any(a.fn == "mode" for a in self.aggs) and len(self.holistic_measures()) > 1:
             raise ValueError("MODE needs the only frequency measure of a cube")
+        if self.raw_only() and any(a.fn == "mode" for a in self.aggs):
+            raise ValueError("MODE and an own aggregate without a merge can't be in one cube")
 
     # cuboid ids follow grouping_id: the leftmost dimension is the most significant bit, 1 means rolled up
 
@@ -57,9 +59,17 @@ class CubeSpec:
     def holistic_measures(self) -> list[str]:
         return list(dict.fromkeys(a.measure for a in self.aggs if a.kind == "frequency"))
 
+    def raw_only(self) -> bool:
+        """Whether some aggregate needs raw rows, so that nothing may be compressed on the way."""
+        return any(a.raw_only for a in self.aggs)
+
     def mergeable(self) -> bool:
         return all(a.kind != "frequency" and a.incremental for a in self.aggs)
 
+    def countable(self) -> bool:
+        """Whether old and new cells merge if frequency functions keep each value with its count."""
+        return all(a.kind == "frequency" or a.incremental for a in self.aggs)
+
     def validate(self, schema: T.StructType) -> None:
         """Raise unless every needed column exists and has a type that works."""
         have = {f.name: f.dataType for f in schema}

@@ -88,11 +88,12 @@ def stream_refresh(source: DataFrame, store: SlotStore, manner: str, checkpoint:
     def apply(batch: DataFrame, batch_id: int) -> None:
         m = store.manifest()
         if m["version"] == 0:
-            maintain.materialize_cached(batch, spec, store, "view" if manner == "incremental_reuse" else "input")
-            store.commit(store.manifest(), batches=[str(batch_id)])
+            # the state and the batch's number become visible in one commit, so a replay finds both or neither
+            maintain.materialize_cached(batch, spec, store, "view" if manner == "incremental_reuse" else "input", batch_id=str(batch_id))
             return
         maintain.refresh(store, batch, manner, batch_id=str(batch_id))
-        if compact_every and store.manifest()["updates"] % compact_every == 0:
+        m = store.manifest()
+        if compact_every and m["updates"] % compact_every == 0 and len(m["runs"]) > 1:
             maintain.compact(store)
 
     return source.writeStream.foreachBatch(apply).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
