@@ -29,17 +29,19 @@ def held_out(doc_id: Column | str = "doc_id") -> Column:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir``; own one only where unset."""
+    """The folder that driver and executors share: ``spark.checkpoint.dir``; only a local master may do without, with a folder of its machine."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
         jsc = spark.sparkContext._jsc.sc()
         known = jsc.getCheckpointDir()
         if known.isDefined():
             root = known.get()
-        else:
+        elif spark.sparkContext.master.startswith("local"):
             root = "file://" + tempfile.mkdtemp(prefix="latticecube-")
             spark.sparkContext.setCheckpointDir(root)
             root = jsc.getCheckpointDir().get()
+        else:
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
     return root.rstrip("/")
 
 
@@ -64,6 +66,24 @@ def small_side(df: DataFrame, rows: int | None = None, limit: int = BROADCAST_RO
     return F.broadcast(df) if n <= limit else df
 
 
+#: Rows from which on a key is dealt apart, and how many such keys there may be: their number is bounded as their rows add up to the table's.
+HOT_ROWS, HOT_KEYS = 1_000, 200_000
+
+
+def join_by_key(left: DataFrame, right: DataFrame, key: str, size: str, how: str = "inner") -> DataFrame:
+    """Join a written table with one row for each key that says how many rows of ``left`` have it, so that no key lands in one task.
+
+    The rows of hot keys meet them by broadcast where they lie; the others are shuffled.  ``how`` is inner or left_semi.
+    """
+    total = right.agg(F.sum(size)).first()[0] or 0
+    least = max(HOT_ROWS, total // HOT_KEYS)
+    few = right.where(F.col(size) >= least)  # HOT_KEYS rows at most
+    if few.isEmpty():
+        return left.join(right, key, how)
+    rest = left.join(F.broadcast(few.select(key)), key, "left_anti").join(right.where(F.col(size) < least), key, how)
+    return left.join(F.broadcast(few), key, how).unionByName(rest)
+
+
 _memos: dict[str, object] = {}
 
 

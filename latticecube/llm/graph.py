@@ -1,7 +1,8 @@
 """Connected components of an edge table by alternating large-star and small-star steps.
 
 Each step sends every node's neighbours to their least one; no step gathers a node's neighbours in one row,
-and the minimum of a large neighbourhood is pre-aggregated before it is shuffled.
+the minimum of a large neighbourhood is pre-aggregated before it is shuffled, and the edges of a node with very many
+neighbours meet that minimum by broadcast, where they lie.  Repeated edges are one edge.
 """
 
 from __future__ import annotations
@@ -14,12 +15,16 @@ from . import common
 MAX_STEPS = 60
 
 
-def _toward_least(pairs: DataFrame, keep_own: bool) -> DataFrame:
-    """pairs(u, v): connect every v, and for the small step u, with the least of u's neighbours and u."""
-    least = pairs.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-    out = pairs.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
-    if keep_own:
-        out = out.union(least.select("u", F.col("m").alias("v")))
+def _with_least(pairs: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """pairs(u, v) with m, the least of u's neighbours and u; and the table of u, m."""
+    least = common.written(pairs.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("size")).select("u", F.least("u", "m").alias("m"), "size"), "least")
+    return common.join_by_key(pairs, least, "u", "size").drop("size"), least
+
+
+def _toward_least(pairs: DataFrame) -> DataFrame:
+    """The small step: connect every v, and u, with the least of u's neighbours and u."""
+    met, least = _with_least(pairs)
+    out = met.select(F.col("v").alias("u"), F.col("m").alias("v")).union(least.select("u", F.col("m").alias("v")))
     return out.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
 
 
@@ -30,9 +35,9 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     seen = None
     for _ in range(MAX_STEPS):
         both = now.union(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
-        now = common.written(_toward_least(large, keep_own=True), "edges")
+        met, _ = _with_least(both)
+        large = common.written(met.where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct(), "large")
+        now = common.written(_toward_least(large), "edges")
         mark = now.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if seen == tuple(mark):
             break

@@ -18,8 +18,10 @@ t is exact for sets of up to 3k/4 shingles.  For larger ones the number of share
 and t lies ``SIGMAS`` standard deviations under its mean, so a pair at the very threshold is lost with a probability of about 1e-8.
 
 Edge cases: null, empty and blank texts have no shingles, are their own component and kept; fewer words than five make one shingle;
-rows that share an id are one vertex; a row with a null id links with nothing, has a null component and is kept; an empty table
-gives an empty result.
+rows that share an id are one vertex, through which their texts are in one component, and each row has its own text's number of shingles;
+a row with a null id links with nothing, has a null component and is kept; an empty table gives an empty result.  (Different texts of a
+repeated id get numbers above the largest id inside; ids up to 2**62 leave room for these.)  ``survivors`` judges texts, not ids: of each
+component of texts one row stays, so no text is lost by an id that it shares with another.
 """
 
 from __future__ import annotations
@@ -138,8 +140,8 @@ def shared_lists(classes: DataFrame, k: int) -> DataFrame:
     alone is the share of a class's retained values that no other class retains.
     """
     values = classes.select("rep", "n", F.explode("sketch").alias("value"))
-    counts = values.groupBy("value").agg(F.count("*").alias("df")).where("df > 1")
-    shared = values.join(counts, "value")
+    counts = common.written(values.groupBy("value").agg(F.count("*").alias("df")).where("df > 1"), "counts")
+    shared = common.join_by_key(values, counts, "value", "df")
     t = least_shared(F.col("n"), k)
     per = shared.groupBy("rep", "n").agg(F.sort_array(F.collect_list(F.struct("df", "value"))).alias("by_df"))  # at most k of a class
     per = per.withColumn("need", F.least(F.lit(OVERLAPS), t))
@@ -172,8 +174,8 @@ def _verified(pairs: DataFrame, docs: DataFrame, sets: DataFrame | None = None)
 
 def _toward_hubs(lists: DataFrame, classes: DataFrame | None, docs: DataFrame, k: int, apart: bool = False, sets: DataFrame | None = None) -> DataFrame:
     """Verified links of each class with the hub it overlaps most: of a list, the member with the least share of values of its own."""
-    hubs = lists.groupBy("value").agg(F.min(F.struct("alone", "rep", *(["comp"] if apart else []))).alias("hub"))
-    toward = lists.join(hubs, "value").where(F.col("rep") != F.col("hub.rep"))
+    hubs = common.written(lists.groupBy("value").agg(F.min(F.struct("alone", "rep", *(["comp"] if apart else []))).alias("hub"), F.count("*").alias("size")), "hubs")
+    toward = common.join_by_key(lists, hubs, "value", "size").where(F.col("rep") != F.col("hub.rep"))
     if apart:
         toward = toward.where(F.col("comp") != F.col("hub.comp"))
     toward = toward.groupBy("rep", F.col("hub.rep").alias("hub"), "need").agg(F.count("*").alias("c")).where("c >= need")
@@ -187,9 +189,9 @@ def _still_open(lists: DataFrame, found: DataFrame) -> DataFrame:
     """The lists whose members are in more than one component, with ``comp`` of each member."""
     found = common.written(found, "components")
     rest = [F.col(c) for c in lists.columns if c != "comp"]
-    placed = lists.join(found, lists["rep"] == found["node"], "left").select(*rest, F.coalesce("component", "rep").alias("comp"))
-    mixed = placed.groupBy("value").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("value")
-    return placed.join(mixed, "value", "left_semi")
+    placed = common.written(lists.join(found, lists["rep"] == found["node"], "left").select(*rest, F.coalesce("component", "rep").alias("comp")), "placed")
+    mixed = placed.groupBy("value").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("size")).where("lo <> hi")
+    return common.join_by_key(placed, common.written(mixed.select("value", "size"), "mixed"), "value", "size", "left_semi")
 
 
 def _whole_lists(sets: DataFrame) -> DataFrame:
@@ -199,8 +201,8 @@ def _whole_lists(sets: DataFrame) -> DataFrame:
     pos counts all values before, alone is the share of values that at most ``RARE`` sets have.
     """
     values = sets.select(F.col("doc_id").alias("rep"), F.explode("items").alias("value"))
-    counts = values.groupBy("value").agg(F.count("*").alias("df"))
-    ordered = values.join(counts, "value").groupBy("rep").agg(F.sort_array(F.collect_list(F.struct("df", "value"))).alias("by_df"))
+    counts = common.written(values.groupBy("value").agg(F.count("*").alias("df")), "counts")
+    ordered = common.join_by_key(values, counts, "value", "df").groupBy("rep").agg(F.sort_array(F.collect_list(F.struct("df", "value"))).alias("by_df"))
     n = F.size("by_df")
     rare = F.size(F.filter("by_df", lambda x: x.df <= RARE))
     first = F.slice("by_df", F.lit(1), n - F.ceil(n * NUM / DEN).cast("int") + 1)
@@ -216,8 +218,8 @@ def _within_bound(lists: DataFrame) -> DataFrame:
     return met.select(F.col("rep_a").alias("a"), F.col("rep_b").alias("b")).distinct()
 
 
-def near_duplicates(docs: DataFrame, k: int = SKETCH) -> DataFrame:
-    """``doc_id, n_shingles, component_id, kept`` of every row of ``docs(doc_id, text)``."""
+def _linked(docs: DataFrame, k: int, more_links: DataFrame | None = None) -> DataFrame:
+    """``doc_id, n, component`` of every row of docs, whose ids are distinct or null."""
     made = common.written(sketches(docs, k), "sketches")
     has = made.where("n > 0 AND doc_id IS NOT NULL")
     classes = common.written(has.groupBy("n", "f1", "f2").agg(F.min("doc_id").alias("rep"), F.first("sketch").alias("sketch")), "classes")
@@ -228,30 +230,90 @@ def near_duplicates(docs: DataFrame, k: int = SKETCH) -> DataFrame:
     lists = common.written(_still_open(lists, graph.components(links)), "open")
 
     # members of crowded lists that are still open: whole sets, hubs nearer to the group's middle, then a positional bound
-    crowded = lists.groupBy("value").agg(F.count("*").alias("m")).where(F.col("m") >= CROWD).select("value")
-    crowd = common.written(lists.join(crowded, "value", "left_semi").select(F.col("rep").alias("doc_id")).distinct(), "crowd")
+    crowded = common.written(lists.groupBy("value").agg(F.count("*").alias("size")).where(F.col("size") >= CROWD), "crowded")
+    crowd = common.written(common.join_by_key(lists, crowded, "value", "size", "left_semi").select(F.col("rep").alias("doc_id")).distinct(), "crowd")
     if not crowd.isEmpty():
         sets = common.written(full_sets(docs, crowd), "sets")
         whole = common.written(_whole_lists(sets), "whole")
         comps = graph.components(links)
-        links = links.union(_toward_hubs(_still_open(whole, comps), None, docs, k, apart=True, sets=sets))
+        links = links.union(_toward_hubs(common.written(_still_open(whole, comps), "still"), None, docs, k, apart=True, sets=sets))
         pairs = common.written(_within_bound(_still_open(whole, graph.components(links))), "pairs")
         links = links.union(_verified(pairs, docs, sets))
-        lists = lists.join(common.small_side(crowd.select(F.col("doc_id").alias("rep"), F.lit(True).alias("crowd"))), "rep", "left")
+        lists = common.written(lists.join(common.small_side(crowd.select(F.col("doc_id").alias("rep"), F.lit(True).alias("crowd"))), "rep", "left"), "marked")
     else:
         lists = lists.withColumn("crowd", F.lit(None).cast("boolean"))
 
-    # then the pairs of the other lists that the hubs left apart
-    of = lambda side: lists.select("value", *(F.col(c).alias(f"{c}_{side}") for c in ("rep", "n", "need", "comp", "crowd")))
+    # then the pairs that the hubs left apart, one of which at least is in no crowded list: its lists are all shorter than CROWD,
+    # and only these lists are joined
+    own = lists.where(F.col("crowd").isNull())
+    short = common.written(lists.join(own.select("value").distinct(), "value", "left_semi"), "short")
+    of = lambda side, rows: rows.select("value", *(F.col(c).alias(f"{c}_{side}") for c in ("rep", "n", "need", "comp", "crowd")))
     similar = F.least("n_a", "n_b") * DEN >= F.greatest("n_a", "n_b") * NUM
-    apart = of("a").join(of("b"), "value").where((F.col("rep_a") < F.col("rep_b")) & (F.col("comp_a") != F.col("comp_b")) & similar & (F.col("crowd_a").isNull() | F.col("crowd_b").isNull()))
-    pairs = apart.groupBy(F.col("rep_a").alias("a"), F.col("rep_b").alias("b")).agg(F.count("*").alias("c"), F.min(F.least("need_a", "need_b")).alias("need")).where("c >= need").select("a", "b")
+    once = (F.col("rep_a") < F.col("rep_b")) | F.col("crowd_b").isNotNull()
+    apart = of("a", short.where(F.col("crowd").isNull())).join(of("b", short), "value").where((F.col("rep_a") != F.col("rep_b")) & once & (F.col("comp_a") != F.col("comp_b")) & similar)
+    pairs = apart.groupBy(F.least("rep_a", "rep_b").alias("a"), F.greatest("rep_a", "rep_b").alias("b")).agg(F.count("*").alias("c"), F.min(F.least("need_a", "need_b")).alias("need")).where("c >= need").select("a", "b")
     more = _verified(common.written(_estimated(pairs, classes, k), "pairs"), docs)
-    found = graph.components(links.union(more))
 
     reps = classes.select("n", "f1", "f2", "rep")
+    links = links.union(more)
+    if more_links is not None:
+        rep_of = made.select("doc_id", "n", "f1", "f2").join(reps, ["n", "f1", "f2"], "left").select(F.col("doc_id").alias("x"), F.coalesce("rep", "doc_id").alias("y"))
+        ends = more_links.join(rep_of.withColumnsRenamed({"x": "a", "y": "ra"}), "a").join(rep_of.withColumnsRenamed({"x": "b", "y": "rb"}), "b")
+        links = links.union(ends.select("ra", "rb"))
+    found = graph.components(links)
     placed = reps.join(found, reps["rep"] == found["node"], "left").select("n", "f1", "f2", F.coalesce("component", "rep").alias("component"))
-    # rows that share an id are one vertex, whichever of their sets leads furthest down
-    out = made.select("doc_id", "n", "f1", "f2").join(placed, ["n", "f1", "f2"], "left")
-    component = F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "doc_id"))
+    out = made.select("doc_id", "n", "f1", "f2").join(placed, ["n", "f1", "f2"], "left").select("doc_id", "n", "component")
+    if more_links is not None:
+        # texts without shingles are nodes of their own
+        alone = found.select(F.col("node").alias("doc_id"), F.col("component").alias("through"))
+        out = out.join(alone, "doc_id", "left").select("doc_id", "n", F.coalesce("component", "through").alias("component"))
+    return out.select("doc_id", "n", F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "doc_id")).alias("component"))
+
+
+def _numbered(docs: DataFrame) -> tuple[DataFrame, DataFrame | None]:
+    """Rows ``doc_id, text`` with distinct ids, and ``doc_id, text, number`` of the rows whose id was repeated (None if there are none).
+
+    The first text of a repeated id keeps the id, the others get numbers above the largest one.
+    """
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    known = rows.where(F.col("doc_id").isNotNull())
+    again = common.written(known.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1"), "repeated")
+    if again.isEmpty():
+        return rows, None
+    twins = known.join(common.small_side(again.select("doc_id")), "doc_id", "left_semi")
+    largest = known.agg(F.max("doc_id")).first()[0]
+    texts = twins.groupBy("doc_id", "text").agg(F.lit(1).alias("one"))
+    first = texts.groupBy("doc_id").agg(F.min(F.struct(F.xxhash64("text").alias("h"), F.col("text"))).alias("first"))
+    numbered = texts.join(first, "doc_id").withColumn("number", F.when(F.col("text").eqNullSafe(F.col("first.text")), F.col("doc_id")).otherwise(F.lit(largest + 1) + F.monotonically_increasing_id()))
+    numbered = common.written(numbered.select("doc_id", "text", "number"), "numbered")
+    rest = rows.join(common.small_side(again.select("doc_id")), "doc_id", "left_anti")
+    return rest.unionByName(numbered.select(F.col("number").alias("doc_id"), "text")), numbered
+
+
+def near_duplicates(docs: DataFrame, k: int = SKETCH) -> DataFrame:
+    """``doc_id, n_shingles, component_id, kept`` of every row of ``docs(doc_id, text)``."""
+    rows, numbered = _numbered(docs)
+    links = None if numbered is None else numbered.where("number <> doc_id").select(F.col("doc_id").alias("a"), F.col("number").alias("b"))
+    out = _linked(rows, k, links)
+    if numbered is not None:
+        own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+        back = common.written(numbered.join(common.written(out, "linked").withColumnRenamed("doc_id", "number"), "number").select("doc_id", "text", "n", "component"), "back")
+        same = own["doc_id"].eqNullSafe(back["doc_id"]) & own["text"].eqNullSafe(back["text"])
+        twins = own.join(common.small_side(back), same).select(own["doc_id"], "n", "component")
+        out = out.join(common.small_side(numbered.select(F.col("number").alias("doc_id"))), "doc_id", "left_anti").unionByName(twins)
+    component = F.col("component")
     return out.select("doc_id", F.col("n").cast("long").alias("n_shingles"), component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
+
+
+def survivors(docs: DataFrame, k: int = SKETCH) -> DataFrame:
+    """The rows of docs that stay, with all their columns: one of each component of texts, and all without shingles or without an id."""
+    rows, numbered = _numbered(docs)
+    gone = common.written(_linked(rows, k).where("doc_id IS NOT NULL AND component <> doc_id").select(F.col("doc_id").alias("__gone")), "gone")
+    if numbered is None:
+        return docs.join(common.small_side(gone), docs["doc_id"].cast("long") == gone["__gone"], "left_anti")
+    ids = common.small_side(numbered.select(F.col("doc_id").alias("__twin")).distinct())
+    single = docs.join(ids, docs["doc_id"].cast("long") == ids["__twin"], "left_anti")
+    single = single.join(common.small_side(gone), single["doc_id"].cast("long") == gone["__gone"], "left_anti")
+    stay = numbered.join(common.small_side(gone), numbered["number"] == gone["__gone"], "left_anti").select(F.col("doc_id").alias("__id"), F.col("text").alias("__text"))
+    twins = docs.join(common.small_side(stay), docs["doc_id"].cast("long").eqNullSafe(stay["__id"]) & docs["text"].cast("string").eqNullSafe(stay["__text"]))
+    return single.unionByName(twins.dropDuplicates(["__id", "__text"]).drop("__id", "__text"))
