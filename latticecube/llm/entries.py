@@ -65,13 +65,21 @@ def op1_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.surrogates(common.table(spark, sf_dir, "documents"), b"latticecube synthetic tables")
 
 
+ARRIVALS = 8
+
+
 def op5_size_tiered_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Documents arrive in eight parts, are compacted, and are read from the last version."""
-    store = sharding.sharded(common.table(spark, sf_dir, "documents"), common.scratch(spark, "shards"), arrivals=8, target_bytes=64 << 20, smallest=1 << 20)
-    return store.read().select("doc_id", F.octet_length("text").cast("long").alias("n_bytes"), F.md5(F.col("text").cast("binary")).alias("text_md5"), "lang", "source")
+    """Documents arrive in eight parts, are compacted, and are read from the last version.
+
+    ``compacted`` says that merges took place, that each was one commit after the arrivals', that fewer shards are left, and that no tier has a run to merge.
+    """
+    store, arrived, merges = sharding.sharded(common.table(spark, sf_dir, "documents"), common.scratch(spark, "shards"), ARRIVALS, target_bytes=64 << 20, smallest=1 << 20)
+    shards = store.manifest()["shards"]
+    done = merges > 0 and store.version() == ARRIVALS + merges and len(shards) < arrived and not store.plan(shards)
+    return store.read().select("doc_id", F.octet_length("text").cast("long").alias("n_bytes"), F.md5(F.col("text").cast("binary")).alias("text_md5"), "lang", "source", F.lit(done).alias("compacted"))
 
 
-SQL_SHARDS = "SELECT doc_id, CAST(strlen(text) AS BIGINT) AS n_bytes, md5(text) AS text_md5, lang, source FROM documents"
+SQL_SHARDS = "SELECT doc_id, CAST(strlen(text) AS BIGINT) AS n_bytes, md5(text) AS text_md5, lang, source, true AS compacted FROM documents"
 
 SQL_TOPK = """
 WITH v AS (

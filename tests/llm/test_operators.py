@@ -77,6 +77,35 @@ def test_near_duplicates_edges(spark):
     assert neardup.near_duplicates(docs(spark, odd=False)).count() == 0
 
 
+A, B = "one two three four five six seven eight", "red orange yellow green blue indigo violet white"
+
+
+def test_repeated_ids_with_different_texts(spark):
+    rows = [(3, A), (5, A), (5, B), (9, B), (9, B), (11, A + " nine"), (12, ""), (12, "alone here"), (None, A), (13, None), (13, "")]
+    d = docs(spark, rows, odd=False)
+    got = sorted((r.doc_id, r.n_shingles, r.component_id, r.kept) for r in neardup.near_duplicates(d).collect() if r.doc_id is not None)
+    assert got == sorted([(3, 4, 3, True), (5, 4, 3, False), (5, 4, 3, False), (9, 4, 3, False), (9, 4, 3, False), (11, 5, 3, False), (12, 0, 12, True), (12, 1, 12, True), (13, 0, 13, True), (13, 0, 13, True)])
+    kept = neardup.survivors(d)
+    assert kept.columns == d.columns
+    stay = [(r.doc_id, r.text) for r in kept.collect()]
+    assert Counter(t for _, t in stay) == Counter({A: 2, B: 1, "": 2, "alone here": 1, None: 1})  # A once more with the null id
+    assert (3, A) in stay and (None, A) in stay and {(12, ""), (12, "alone here"), (13, ""), (13, None)} <= set(stay)
+
+
+def test_hot_keys_are_joined_apart(spark, monkeypatch):
+    from latticecube.llm import common
+
+    left = spark.createDataFrame([(0 if i % 3 else i, i) for i in range(300)], "key long, v long")
+    right = left.groupBy("key").agg(F.count("*").alias("size"))
+    for rows in (5, 10_000):
+        monkeypatch.setattr(common, "HOT_ROWS", rows)
+        assert common.join_by_key(left, right, "key", "size").count() == 300
+        assert common.join_by_key(left, right.where("key <> 3"), "key", "size", "left_semi").count() == 299
+    plan = common.join_by_key(left, right.where("size > 5"), "key", "size")._jdf.queryExecution().executedPlan().toString()
+    monkeypatch.setattr(common, "HOT_ROWS", 5)
+    assert "Union" not in plan and "Union" in common.join_by_key(left, right, "key", "size")._jdf.queryExecution().executedPlan().toString()
+
+
 def test_components(spark):
     rng = random.Random(1)
     edges = [(rng.randrange(300), rng.randrange(300)) for _ in range(200)] + [(i, i + 1) for i in range(1000, 1100)] + [(2000, i) for i in range(2001, 2100)]
@@ -237,6 +266,37 @@ def test_shards(spark, tmp_path):
     assert store.read().count() == sum(want.values()) + 1
 
 
+def test_shard_writers_in_each_others_way(spark, tmp_path, monkeypatch):
+    store, other = (sharding.ShardStore(spark, f"file://{tmp_path}/s", target_bytes=40_000, smallest=500, fanout=3) for _ in range(2))
+    for i in range(4):
+        store.append(docs(spark, [(i, f"text {i}")], odd=False).coalesce(1))
+    # an arrival that another writer has stored but not committed survives, and a commit in between is no failure
+    waiting = other._stored(docs(spark, [(50, "waits")], odd=False).coalesce(1), f"{other.root}/data/waiting")
+    commit, raced = store.commit, []
+
+    def beaten(old, shards, schema):
+        if not raced:
+            raced.append(other._added(waiting, schema))
+        return commit(old, shards, schema)
+
+    monkeypatch.setattr(store, "commit", beaten)
+    assert store.compact() >= 1 and store.expire() > 0
+    assert {r.doc_id for r in store.read().collect()} == {0, 1, 2, 3, 50}
+    # a run that gains nothing doesn't keep the others from being merged
+    sizes = [{"uri": f"big{i}", "bytes": 29_000, "tier": 3} for i in range(3)]
+    monkeypatch.setattr(store, "plan", lambda shards, plan=store.plan: [r for r in ([sizes] if len(shards) > 1 else [])] + plan(shards))
+    for i in range(3):
+        store.append(docs(spark, [(60 + i, "x")], odd=False).coalesce(1))
+    before = len(store.manifest()["shards"])
+    monkeypatch.setattr(store, "target", 20_000)
+    sizes[:] = [s | {"bytes": 20_000} for s in sizes]
+    store.compact()
+    assert len(store.manifest()["shards"]) < before
+    clash = docs(spark, [(1, "a")], odd=False).withColumn("__arrival", F.lit(7))
+    made, _, _ = sharding.sharded(clash, f"file://{tmp_path}/c", 4, 1 << 20, 100)
+    assert made.read().columns == clash.columns and made.read().count() == 1
+
+
 # personal data
 
 
