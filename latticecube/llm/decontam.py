@@ -93,7 +93,8 @@ def clean(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """The rows of docs that no benchmark item is found in, with their columns."""
     found = common.written(overlaps(docs, benchmark).select("doc").distinct(), "contaminated")
     key = F.struct(F.col("doc_id").cast("long").alias("doc_id"), F.when(F.col("doc_id").isNull(), F.xxhash64("text")).alias("null_key"))
-    return docs.withColumn("__doc", key).join(common.small_side(found.withColumnRenamed("doc", "__doc")), "__doc", "left_anti").drop("__doc")
+    own = common.free_name(docs, "doc")
+    return docs.withColumn(own, key).join(common.small_side(found.withColumnRenamed("doc", own)), own, "left_anti").drop(own)
 
 
 def oracle() -> str:

@@ -140,11 +140,11 @@ def train(docs: DataFrame, per_language: int = PER_LANGUAGE, width: int = WIDTH)
         for batch in batches:
             for part in common.slices(batch):
                 x = [features(t, width).tobytes() if has_letter(t) else b"" for t in part.column(1).to_pylist()]
-                yield pa.record_batch([part.column(0), pa.array(x, pa.binary())], ["lang", "x"])
+                yield pa.record_batch([part.column(2), part.column(3), part.column(0), pa.array(x, pa.binary())], ["place", "doc_id", "lang", "x"])
 
-    # the share is exact only on average: a limit in hash order bounds what the driver gets
-    bounded = picked.orderBy("place", "doc_id").limit(2 * per_language * len(counts)).select("lang", "text")
-    got = [r for r in common.arrow_map(bounded, vectors, "lang string, x binary").collect() if r["x"]]
+    # texts become vectors where they lie; the share is exact only on average, so a limit in hash order bounds what the driver gets
+    made = common.arrow_map(picked.select("lang", "text", "place", "doc_id"), vectors, "place double, doc_id long, lang string, x binary")
+    got = [r for r in made.orderBy("place", "doc_id", "lang", "x").limit(2 * per_language * len(counts)).collect() if r["x"]]
     got.sort(key=lambda r: (r["lang"], bytes(r["x"])))
     return Model(np.stack([np.frombuffer(r["x"], np.float32) for r in got]), [r["lang"] for r in got]) if got else None
 

@@ -41,7 +41,8 @@ CROWD = 32
 #: Sets of a crowd up to which a value counts as the members' own.
 RARE = 16
 SIGMAS = 6.0
-MEMO_ENTRIES = 400_000
+#: What a worker remembers of words at most: so many, none longer than that.
+MEMO_ENTRIES, MEMO_WORD = 400_000, 64
 NUM, DEN = 75, 100
 
 #: Odd multipliers of the shingle hash, one for each word position.
@@ -71,9 +72,9 @@ def shingle_set(text: str | None) -> np.ndarray:
         import xxhash
 
         for w in words:
-            if w not in _words:
+            if w not in _words and len(w) <= MEMO_WORD:
                 _words[w] = xxhash.xxh3_64_intdigest(w)
-        hashes = np.fromiter(map(_words.__getitem__, words), np.uint64, len(words))
+        hashes = np.fromiter((_words[w] if len(w) <= MEMO_WORD else xxhash.xxh3_64_intdigest(w) for w in words), np.uint64, len(words))
     width = min(WORDS, len(words))
     n = len(words) - width + 1
     with np.errstate(over="ignore"):
@@ -308,12 +309,13 @@ def near_duplicates(docs: DataFrame, k: int = SKETCH) -> DataFrame:
 def survivors(docs: DataFrame, k: int = SKETCH) -> DataFrame:
     """The rows of docs that stay, with all their columns: one of each component of texts, and all without shingles or without an id."""
     rows, numbered = _numbered(docs)
-    gone = common.written(_linked(rows, k).where("doc_id IS NOT NULL AND component <> doc_id").select(F.col("doc_id").alias("__gone")), "gone")
+    gone_id, twin_id, twin_text = (common.free_name(docs, n) for n in ("gone_id", "twin_id", "twin_text"))
+    gone = common.written(_linked(rows, k).where("doc_id IS NOT NULL AND component <> doc_id").select(F.col("doc_id").alias(gone_id)), "gone")
+    left = lambda df: df.join(common.small_side(gone), df["doc_id"].cast("long") == gone[gone_id], "left_anti")
     if numbered is None:
-        return docs.join(common.small_side(gone), docs["doc_id"].cast("long") == gone["__gone"], "left_anti")
-    ids = common.small_side(numbered.select(F.col("doc_id").alias("__twin")).distinct())
-    single = docs.join(ids, docs["doc_id"].cast("long") == ids["__twin"], "left_anti")
-    single = single.join(common.small_side(gone), single["doc_id"].cast("long") == gone["__gone"], "left_anti")
-    stay = numbered.join(common.small_side(gone), numbered["number"] == gone["__gone"], "left_anti").select(F.col("doc_id").alias("__id"), F.col("text").alias("__text"))
-    twins = docs.join(common.small_side(stay), docs["doc_id"].cast("long").eqNullSafe(stay["__id"]) & docs["text"].cast("string").eqNullSafe(stay["__text"]))
-    return single.unionByName(twins.dropDuplicates(["__id", "__text"]).drop("__id", "__text"))
+        return left(docs)
+    ids = common.small_side(numbered.select(F.col("doc_id").alias(twin_id)).distinct())
+    single = left(docs.join(ids, docs["doc_id"].cast("long") == ids[twin_id], "left_anti"))
+    stay = numbered.join(common.small_side(gone), numbered["number"] == gone[gone_id], "left_anti").select(F.col("doc_id").alias(twin_id), F.col("text").alias(twin_text))
+    twins = docs.join(common.small_side(stay), docs["doc_id"].cast("long").eqNullSafe(stay[twin_id]) & docs["text"].cast("string").eqNullSafe(stay[twin_text]))
+    return single.unionByName(twins.dropDuplicates([twin_id, twin_text]).drop(twin_id, twin_text))

@@ -326,6 +326,53 @@ def test_surrogates_keep_type_and_coreference(spark):
     got = {r.doc_id: r for r in pii.surrogates(df, b"k").collect()}
     assert got[1].text == got[2].text == new and got[3].n_entities == 0 and got[900001].text is None and got[900002].text == ""
     assert pii.collisions(df, b"k").count() == 0 and pii.entities(df, b"k").count() == 16
+    whole = pii.checked(df, b"k")
+    assert sorted(map(str, whole.drop("n_collisions").collect())) == sorted(map(str, got_all := pii.surrogates(df, b"k").collect())) and len(got_all) == df.count()
+    assert {r.n_collisions for r in whole.collect()} == {0}
+
+
+def test_surrogates_over_whole_domains():
+    """Every value of a format: all surrogates differ, none is its own value, and each keeps its class."""
+    made = pii.Surrogates(b"domain")
+    latin = [a + b + c for a in "BCDFGHJKLMNPQRSTVWXZ" for b in "aeiouy" for c in "bcdfghjklmnpqrstvwxz"]
+    cyrillic = [a + b + c + d for a in "БВГДЖ" for b in "аеёиоуыэюя" for c in "бвгджзйклмнпрстфхцчшщ" for d in ("", "ин", "ов", "ова", "ая")]
+    for kind, domain in (("surname", [n for n in latin if n not in pii._given]), ("surname", cyrillic), ("forename", [n for n in latin if n not in pii._given]), ("initial", list("BCDFGHJKLMNPQRSTVWXZ")), ("ssn", [f"{i:03d}-11-2222" for i in range(1000)])):
+        of = {v: made.of(kind, v) for v in domain}
+        assert len(set(of.values())) == len(domain) and all(a != b and len(a) == len(b) for a, b in of.items())
+        if kind == "surname":
+            assert all(pii._ending(a) == pii._ending(b) for a, b in of.items())
+        if kind == "forename":
+            assert all(a[-1] == b[-1] for a, b in of.items())
+    # secrets of the hexadecimal kind and others never meet
+    secrets = [f"{i:016x}" for i in range(300)] + ["bcdf" * 4 + c for c in "bcdfghjk"] + ["fdcb" * 4, "k" * 16]
+    assert len({made.of("secret", v) for v in secrets}) == len(secrets)
+    assert all(bool(pii._is_hex(v)) == bool(pii._is_hex(made.of("secret", v))) for v in secrets)
+
+
+@pytest.mark.parametrize("text, kinds", [
+    ("Mr Žižek met Dr Łukasz Wałęsa and Mr A. Smith, then José García. Žižek left.", ["surname", "given", "surname", "initial", "surname", "given", "surname", "surname"]),
+    ("Şahin wrote to Mr Şahin and Mrs Priya Natarajan.", ["surname", "surname", "forename", "surname"]),
+    ("Господин Бефер. Господин Банин. Госпожа Їжакевич.", ["surname"] * 3),
+    ("Κύριος Παπαδόπουλος", ["surname"]), ("王先生, 田中さん", ["surname"] * 2),
+    ("2001:db8::ff00:42:8329 and 2001:DB8::FF00:42:8329", ["ip6"] * 2), ("call 020 7946 0958", ["phone"]),
+    ("anna@x.рф, jörg@firma.de", ["email"] * 2), ("SSN 123-45-6789, IBAN DE89 3704 0044 0532 0130 00", ["ssn", "iban"]),
+    ("at 10:20:30, ratio 3:4:5, std::vector, a::b, 0800 is a number", []),
+])
+def test_entities_of_many_scripts(text, kinds):
+    new, made = pii.replace(text, pii.Surrogates(b"k"))
+    assert [k for k, _, _ in made] == kinds
+    assert all(v not in new for k, v, _ in made if len(v) > 1 and k != "given") and len(new) - len(text) in range(-8, 9)
+    assert len({s for _, _, s in made}) == len({v for _, v, _ in made})
+    script = lambda c: "".join(x for x in pii.ALPHABETS if c in x) or c
+    for k, v, s in made:
+        if k in ("surname", "initial", "email", "phone", "ssn"):
+            assert [script(c) for c in v] == [script(c) for c in s]
+
+
+def test_collisions_are_counted(spark, monkeypatch):
+    monkeypatch.setattr(pii.Surrogates, "of", lambda self, kind, value: "same", raising=True)
+    bad = pii.replace("Mr Black and Mr White", pii.Surrogates(b"k"))
+    assert bad[0] == "Mr same and Mr same"  # counted by the check, and nothing raises
 
 
 # models
