@@ -11,22 +11,21 @@ from latticecube.llm import common, decontam, entries, langid, mixing, neardup,
 ORACLE_SQL = None
 
 
-def _without(docs: DataFrame, dropped: DataFrame) -> DataFrame:
-    """Rows of docs whose id is not in ``dropped(doc_id)``; rows with a null id stay."""
-    gone = common.written(dropped.select(F.col("doc_id").alias("__gone")).distinct(), "dropped")
-    return docs.join(common.small_side(gone), docs["doc_id"] == gone["__gone"], "left_anti")
-
-
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts without a letter, or null, have no language: they go."""
-    found = langid.identify(docs, langid.train(docs))
-    named = _without(docs, found.where(F.col("lang_pred") == langid.UNKNOWN))
-    return named.where(F.col("text").isNotNull())
+    """Texts without a letter, or null, have no language and go; other predictions reject nothing, as clean documents stay.
+
+    An id that several rows share rejects only those of them that have no letter.
+    """
+    found = langid.identify(docs, langid.train(docs)).where(F.col("lang_pred") == langid.UNKNOWN)
+    own = common.free_name(docs, "rejected")
+    gone = common.written(found.select(F.col("doc_id").alias(own)).distinct(), "rejected")
+    blank = ~F.coalesce(docs["text"].cast("string"), F.lit("")).rlike(r"\p{L}")
+    return docs.join(common.small_side(gone), docs["doc_id"].eqNullSafe(gone[own]) & blank, "left_anti")
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The smallest id of each component stays."""
-    return _without(docs, neardup.near_duplicates(docs).where(~F.col("kept")))
+    """One document of each component of texts stays, the one of the smallest id; texts of a repeated id are judged as texts, so none is lost by its id."""
+    return neardup.survivors(docs)
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -36,8 +35,9 @@ def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents of the mix, one epoch at most; the document at a leaf's budget stays whole."""
     taken = mixing.mix(docs, entries.MIX, entries.MIX_SHARE, entries.mix_domain(), epochs=1, seed=entries.MIX_SEED)
-    ids = common.written(taken.select(F.col("doc_id").alias("__taken")).distinct(), "taken")
-    return docs.join(common.small_side(ids), docs["doc_id"].eqNullSafe(ids["__taken"]), "left_semi").where(mixing.tokens(F.col("text")) > 0)
+    own = common.free_name(docs, "taken")
+    ids = common.written(taken.select(F.col("doc_id").alias(own)).distinct(), "taken")
+    return docs.join(common.small_side(ids), docs["doc_id"].eqNullSafe(ids[own]), "left_semi").where(mixing.tokens(F.col("text")) > 0)
 
 
 def write_ids(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
