@@ -170,6 +170,7 @@ def test_decontamination_finds_excerpts_and_shifted_copies(spark):
     found = [
         around(long[15:44]), long[-20:] + around([]), around([]) + cut[:20], around([w if i % 5 else "other" for i, w in enumerate(long[:29])]),
         around(every(shifted, 15)), around(every(shifted, 10)), around(shifted[:12] + shifted[13:24] + shifted[25:36] + shifted[37:]),
+        *(around([w if i % 3 != r else "third" for i, w in enumerate(shifted)]) for r in range(3)),
     ]
     clear = [around(long[20:25] + around([]) + long[40:47]), around(shifted[:6]), around([w if i % 2 else word() for i, w in enumerate(cut[:24])]), around(["one", "two", "three"])]
     # a short item's mask must not let a longer item's single words add up
