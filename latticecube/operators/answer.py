@@ -94,12 +94,25 @@ def cube_diff(a: CubeResult, b: CubeResult) -> DataFrame:
     return left.unionByName(b.df.exceptAll(a.df).withColumn("side", F.lit("b")))
 
 
-def cube_as_of(versions: DataFrame, probes: DataFrame, ts: str, keys: list[str], value: str, strictly: bool = False) -> DataFrame:
-    """For each probe the last version's value at its time, or strictly before it: a union and one window, no range join."""
-    v = versions.select(*keys, F.col(ts).alias("__t"), F.lit(0).alias("__probe"), F.col(value).alias("__v"), F.lit(None).alias("__row"))
-    p = probes.select(*keys, F.col(ts).alias("__t"), F.lit(-1 if strictly else 1).alias("__probe"), F.lit(None).alias("__v"), F.struct(*probes.columns).alias("__row"))
-    w = Window.partitionBy(*keys).orderBy("__t", "__probe").rowsBetween(Window.unboundedPreceding, 0)
-    both = v.unionByName(p).withColumn("__last", F.last("__v", ignorenulls=True).over(w)).where("__probe <> 0")
+def _day_of(df: DataFrame, ts: str) -> Column:
+    return F.col(ts).cast("date") if df.schema[ts].dataType.typeName() in ("date", "timestamp", "timestamp_ntz") else F.lit(0)
+
+
+def cube_as_of(versions: DataFrame, probes: DataFrame, ts: str, keys: list[str], value: str, strictly: bool = False, bucket: Column | None = None) -> DataFrame:
+    """For each probe the last version's value at its time, or strictly before it: a union and windows, no range join.
+
+    Rows of a key are cut by ``bucket``, an expression of the time that never falls as time goes on (its day, if it has one), so that a hot key's rows are
+    in many tasks.  What a key's earlier buckets leave comes from one pre-aggregated row of each, and opens the bucket.
+    """
+    b = lambda df: (bucket if bucket is not None else _day_of(df, ts)).alias("__b")
+    v = versions.select(*keys, b(versions), F.lit(1).alias("__own"), F.col(ts).alias("__t"), F.lit(0).alias("__probe"), F.col(value).alias("__v"), F.lit(None).alias("__row"))
+    p = probes.select(*keys, b(probes), F.lit(1).alias("__own"), F.col(ts).alias("__t"), F.lit(-1 if strictly else 1).alias("__probe"), F.lit(None).alias("__v"), F.struct(*probes.columns).alias("__row"))
+    rows = v.unionByName(p)
+    ends = rows.groupBy(*keys, "__b").agg(F.max_by("__v", F.when(F.col("__v").isNotNull(), F.struct("__t"))).alias("__v"))
+    before = Window.partitionBy(*keys).orderBy("__b").rowsBetween(Window.unboundedPreceding, -1)
+    opening = ends.withColumn("__v", F.last("__v", ignorenulls=True).over(before)).withColumns({"__own": F.lit(0), "__t": F.lit(None), "__probe": F.lit(0), "__row": F.lit(None)})
+    w = Window.partitionBy(*keys, "__b").orderBy("__own", "__t", "__probe").rowsBetween(Window.unboundedPreceding, 0)
+    both = rows.unionByName(opening).withColumn("__last", F.last("__v", ignorenulls=True).over(w)).where("__probe <> 0")
     return both.select("__row.*", F.col("__last").alias(value))
 
 

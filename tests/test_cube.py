@@ -1,6 +1,7 @@
+import random
 import statistics
 from collections import defaultdict
-from datetime import date
+from datetime import date, datetime, timedelta
 from decimal import Decimal
 
 import pytest
@@ -478,3 +479,20 @@ def test_own_state_gives_the_median(spark, tmp_path):
     q.outputMode("update").option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True).start().awaitTermination()
     want = brute([{"b": r[1], "m": r[3]} for r in ROWS[:30]], ["b"], [middle, len])
     assert sorted(got.values(), key=str) == sorted(want.values(), key=str)
+
+
+def test_as_of_over_buckets(spark):
+    """A hot key's times in many buckets, keys without an earlier version, null values, keys and times, against a scan of all versions."""
+    rng, start = random.Random(8), datetime(2024, 2, 27)
+    at = lambda: start + timedelta(hours=rng.randrange(120))
+    made = {(rng.choice(["hot", "hot", "hot", "a", None]), at()): rng.choice([None, 1.0, 2.0, 3.0]) for _ in range(150)}
+    versions = spark.createDataFrame([(k, t, x) for (k, t), x in made.items()], "k string, ts timestamp_ntz, v double")
+    asked = [(i, rng.choice(["hot", "a", None, "unseen"]), at()) for i in range(100)] + [(100, "hot", None)]
+    probes = spark.createDataFrame(asked, "id int, k string, ts timestamp_ntz")
+    for strictly in (False, True):
+        got = {r.id: r.v for r in answer.cube_as_of(versions, probes, "ts", ["k"], "v", strictly).collect()}
+        for i, k, t in asked:
+            known = [(u, x) for (key, u), x in made.items() if key == k and x is not None and t is not None and (u < t or (u == t and not strictly))]
+            assert got[i] == (max(known)[1] if known else None)
+    numbers = answer.cube_as_of(spark.sql("SELECT 'a' AS k, id AS ts, id * 10 AS v FROM range(50)"), spark.sql("SELECT 'a' AS k, id + 40 AS ts FROM range(20)"), "ts", ["k"], "v", bucket=F.floor(F.col("ts") / 7))
+    assert {r.ts: r.v for r in numbers.collect()} == {t: min(t, 49) * 10 for t in range(40, 60)}
