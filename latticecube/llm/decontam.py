@@ -10,7 +10,8 @@ with words inserted or deleted.  ``matched_words`` counts the best single alignm
 
 The seeds find less than the bar accepts.  Copies with words replaced at random places that meet the bar and have no hit, of 4,000 each:
 10-word items 8.6 % with 2 words replaced; 15-word items 0.7 %, 8.5 % and 56 % with 3, 4 and 6; 30-word items 0.0 %, 0.1 % and 9.5 % with
-6, 9 and 12; 45-word items 0.0 %, 0.0 % and 0.9 % with 9, 14 and 18.  A copy with every third word replaced is always hit.
+6, 9 and 12; 45-word items 0.0 %, 0.0 % and 0.9 % with 9, 14 and 18.  A copy of an item of eleven words
+or more with every third word replaced is always hit, wherever the replacing starts.
 
 Items shorter than the span get a mask of their own length that ignores nothing; each distinct length below ``SPAN`` is one more mask.
 
