@@ -132,10 +132,22 @@ def fingerprint(keys: np.ndarray) -> np.ndarray:
     return mix(keys, 0x5EED)
 
 
+#: The normaliser's and the pre-tokeniser's steps for which words can be encoded one by one.
+WORD_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+WORD_NORMALIZER = {"type": "Sequence", "normalizers": [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": r"\s+"}, "content": " "}, {"type": "Lowercase"}]}
+WORD_SPLIT = {
+    "type": "Sequence",
+    "pretokenizers": [
+        {"type": "Split", "pattern": {"Regex": WORD_PATTERN}, "behavior": "Removed", "invert": True},
+        {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": True, "use_regex": False},
+    ],
+}
+
+
 class Encoder:
     """Whole-text ids of a vocabulary file, from the tokenizers library.
 
-    Where the pre-tokeniser splits by one pattern that drops white space, a text's ids are those of its
+    Where the file's steps are exactly the fixed ones above (any other file's texts go to the library whole), a text's ids are those of its
     white-space-free chunks in order, and a chunk's those of its lower-case words: each distinct word goes to the
     library's model once, and words and chunks are remembered.  Texts with letters beyond the extended Latin
     blocks, with odd control characters or with what may be a special string go to the library whole.
@@ -151,10 +163,10 @@ class Encoder:
         self.dtype = np.dtype("<u2" if self.width == 2 else "<u4")
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
-        steps = (spec.get("pre_tokenizer") or {}).get("pretokenizers") or [{}]
-        self.by_word = [s.get("type") for s in steps] == ["Split", "ByteLevel"] and steps[0].get("behavior") == "Removed" and [n.get("type") for n in (spec.get("normalizer") or {}).get("normalizers", [])] == ["NFC", "Replace", "Lowercase"]
+        whole = spec.get("truncation") is None and spec.get("padding") is None and spec["model"].get("type") == "BPE" and not spec["model"].get("dropout")
+        self.by_word = whole and spec.get("normalizer") == WORD_NORMALIZER and spec.get("pre_tokenizer") == WORD_SPLIT
         if self.by_word:
-            self.find = regex.compile(steps[0]["pattern"]["Regex"]).findall
+            self.find = regex.compile(WORD_PATTERN).findall
             self.model, self.letters = self.of.model, byte_letters()
         self.odd = re.compile(r"[^\t-\r -~\xa1-ɏ‐-‧]|<\|").search
         self.chunks: dict[str, bytes] = {}
