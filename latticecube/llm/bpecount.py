@@ -7,7 +7,8 @@ Counts are kept per distinct pre-token in a bounded dictionary of each Python wo
 
 Edge cases: null and empty texts count 0 tokens; the vocabulary's special strings inside a
 text are single tokens, as the library's default has it; null ids pass through; repeated
-rows are counted each; other columns, whatever their names, are not read.
+rows are counted each; other columns, whatever their names, are not read.  A vocabulary file
+that is not plain byte-level byte-pair encoding is refused, as its steps would give other tokens.
 """
 
 from __future__ import annotations
@@ -24,6 +25,9 @@ from . import common
 #: Fixed value: the byte-level pre-token pattern of the vocabulary.
 PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
+#: Settings of a vocabulary's model that would change which merges are made, or the symbols that they start from.
+ALTERING = ("dropout", "continuing_subword_prefix", "end_of_word_suffix", "byte_fallback", "ignore_merges")
+
 #: Entries of the per-worker dictionary of counted pre-tokens (about 100 bytes each).
 MEMO_ENTRIES = 1_500_000
 
@@ -45,7 +49,12 @@ class PairCounter:
 
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
-        merges = spec["model"]["merges"]
+        model, before = spec["model"], spec.get("pre_tokenizer") or {}
+        plain = spec.get("normalizer") is None and spec.get("truncation") is None and spec.get("padding") is None
+        plain = plain and before.get("type") == "ByteLevel" and before.get("add_prefix_space") is False and before.get("use_regex", True) is True
+        if not plain or model.get("type") != "BPE" or any(model.get(k) for k in ALTERING):
+            raise ValueError(f"{path} isn't plain byte-level byte-pair encoding, so counting its merges would not give its tokens")
+        merges = model["merges"]
         pairs = [tuple(m.split(" ")) if isinstance(m, str) else tuple(m) for m in merges]
         self.rank = {pair: r for r, pair in enumerate(pairs)}
         self.letters = byte_letters()

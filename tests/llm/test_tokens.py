@@ -1,8 +1,10 @@
+import json
 import random
 import zlib
 
 import numpy as np
 import public_tokenizers
+import pytest
 from tokenizers import Tokenizer
 
 from latticecube.llm import bpecount, common, tokenout
@@ -43,6 +45,51 @@ def test_encoder_equals_library(spark):
         assert np.frombuffer(own.encode(t), own.dtype).tolist() == want, t
 
 
+def _variant(tmp_path, name, change):
+    with open(public_tokenizers.path(name), encoding="utf-8") as f:
+        spec = json.load(f)
+    change(spec)
+    path = tmp_path / f"{change.__name__}.json"
+    path.write_text(json.dumps(spec), encoding="utf-8")
+    return str(path)
+
+
+def test_files_with_other_steps_are_not_shortcut(tmp_path):
+    """Another Replace, split flag or pattern: ids still equal the library's, as such a file's texts go to it whole."""
+
+    def replaced(spec):
+        spec["normalizer"]["normalizers"][1]["content"] = "_"
+
+    def kept(spec):
+        spec["pre_tokenizer"]["pretokenizers"][0]["behavior"] = "Isolated"
+
+    def digits(spec):
+        spec["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"] = r"\p{L}+|\p{N}+|[^\s\p{L}\p{N}]+"
+
+    for change in (replaced, kept, digits):
+        path = _variant(tmp_path, "word_bpe_49k.json", change)
+        lib, own = Tokenizer.from_file(path), tokenout.Encoder(path)
+        assert not own.by_word
+        for t in ("I'll  don't 123 abc", "two words"):
+            assert np.frombuffer(own.encode(t), own.dtype).tolist() == lib.encode(t, add_special_tokens=False).ids
+    assert tokenout.Encoder(public_tokenizers.path("word_bpe_49k.json")).by_word
+
+
+def test_counter_refuses_other_files(tmp_path):
+    def prefixed(spec):
+        spec["pre_tokenizer"]["add_prefix_space"] = True
+
+    def lowered(spec):
+        spec["normalizer"] = {"type": "Lowercase"}
+
+    def ended(spec):
+        spec["model"]["end_of_word_suffix"] = "</w>"
+
+    for change in (prefixed, lowered, ended):
+        with pytest.raises(ValueError, match="byte-pair"):
+            bpecount.PairCounter(_variant(tmp_path, "byte_bpe_50k.json", change))
+
+
 def test_perfect_index():
     rng = np.random.default_rng(1)
     for n in (0, 1, 2, 7, 1000, 20000):
