@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import tempfile
+import time
 import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -57,9 +58,43 @@ def written(df: DataFrame, label: str, *partition_by: str) -> DataFrame:
     if partition_by:
         out = out.partitionBy(*partition_by)
     out.parquet(path)
+    if time.monotonic() - _given_back[0] >= GIVE_BACK_S:
+        _given_back[0] = time.monotonic()
+        driver_gives_back(spark)
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Seconds between two times at least that the driver's JVM gives memory back while tables are written, and when it last did.
+GIVE_BACK_S = 5
+_given_back = [0.0]
+
+
+def driver_gives_back(spark: SparkSession) -> str:
+    """Return the native memory that the driver's JVM has freed to the machine; what the JVM answers, empty if it can't.
+
+    Operators of many small jobs plan and compile in hundreds of threads, and the C library keeps what each of them has freed.
+    """
+    from py4j.protocol import Py4JError
+
+    jvm, gateway = spark._jvm, spark.sparkContext._gateway
+
+    def array(kind, *items):
+        out = gateway.new_array(kind, len(items))
+        for i, x in enumerate(items):
+            out[i] = x
+        return out
+
+    try:
+        kind = jvm.java.lang.Class
+        of = [kind.forName(n) for n in ("javax.management.ObjectName", "java.lang.String", "[Ljava.lang.Object;", "[Ljava.lang.String;")]
+        call = kind.forName("javax.management.MBeanServer").getMethod("invoke", array(kind, *of))
+        name = jvm.javax.management.ObjectName("com.sun.management:type=DiagnosticCommand")
+        server = jvm.java.lang.management.ManagementFactory.getPlatformMBeanServer()
+        return call.invoke(server, array(jvm.java.lang.Object, name, "systemTrimNativeHeap", array(jvm.java.lang.Object), array(jvm.java.lang.String)))
+    except Py4JError:  # an older JVM, or another C library
+        return ""
+
+
 def free_name(df: DataFrame, base: str) -> str:
     """A column name that the frame doesn't have, in any case."""
     taken = {c.lower() for c in df.columns}
@@ -102,11 +137,11 @@ def claim(owner: str, clear) -> None:
     """
     for other in [k for k in _memos if k != owner]:
         _memos.pop(other)()
-        _give_back()
+        give_back()
     _memos[owner] = clear
 
 
-def _give_back() -> None:
+def give_back() -> None:
     """Return freed memory to the machine, where the C library can."""
     import ctypes
     import gc

@@ -47,12 +47,29 @@ def has_letter(text: str | None) -> bool:
     return bool(text) and any(map(str.isalpha, text))
 
 
-def features(text: str, width: int = WIDTH) -> np.ndarray:
+def trigrams(text: str, width: int = WIDTH) -> np.ndarray:
+    """How often each hashed trigram occurs."""
     words = b" ".join(text.encode("utf-8", "surrogatepass").translate(_LETTERS).split())
     b = np.frombuffer(b" " + words + b"  ", np.uint8).astype(np.uint32)
     code = (b[:-2] * np.uint32(0x9E3779B1) ^ b[1:-1] * np.uint32(0x85EBCA77) ^ b[2:] * np.uint32(0xC2B2AE3D)) * np.uint32(0x27D4EB2F)
-    counts = np.bincount((code >> np.uint32(16)) % np.uint32(width), minlength=width)
-    return np.sqrt(counts / max(1, counts.sum())).astype(np.float32)
+    return np.bincount((code >> np.uint32(16)) % np.uint32(width), minlength=width)
+
+
+def shares(counts: np.ndarray) -> np.ndarray:
+    return np.sqrt(counts / max(1, counts.sum(dtype=np.int64))).astype(np.float32)
+
+
+def features(text: str, width: int = WIDTH) -> np.ndarray:
+    return shares(trigrams(text, width))
+
+
+def packed(counts: np.ndarray) -> bytes:
+    """Counts in the least whole bytes that hold the largest of them, one or two for most texts instead of a float's four."""
+    return counts.astype(np.min_scalar_type(counts.max()).newbyteorder("<")).tobytes()
+
+
+def unpacked(x: bytes, width: int) -> np.ndarray:
+    return np.frombuffer(x, f"<u{len(x) // width}")
 
 
 def _descend(grad, start: np.ndarray, steps: int, rate: float) -> np.ndarray:
@@ -67,10 +84,10 @@ def _descend(grad, start: np.ndarray, steps: int, rate: float) -> np.ndarray:
 class Model:
     """Family softmax and pairwise machines; plain arrays, so that it travels to the workers."""
 
-    def __init__(self, x: np.ndarray, langs: list[str]):
+    def __init__(self, x1: np.ndarray, langs: list[str]):
+        """x1: features of each text, and a last column of ones."""
         self.langs = sorted(set(langs))
         self.families = sorted({family_of(v) for v in self.langs})
-        x1 = np.hstack([x, np.ones((len(x), 1), np.float32)])
         y = np.array([self.families.index(family_of(v)) for v in langs])
         self.family = np.zeros((x1.shape[1], len(self.families)), np.float32)
         if len(self.families) > 1:
@@ -139,14 +156,26 @@ def train(docs: DataFrame, per_language: int = PER_LANGUAGE, width: int = WIDTH)
     def vectors(batches):
         for batch in batches:
             for part in common.slices(batch):
-                x = [features(t, width).tobytes() if has_letter(t) else b"" for t in part.column(1).to_pylist()]
+                x = [packed(trigrams(t, width)) if has_letter(t) else b"" for t in part.column(1).to_pylist()]
                 yield pa.record_batch([part.column(2), part.column(3), part.column(0), pa.array(x, pa.binary())], ["place", "doc_id", "lang", "x"])
 
     # texts become vectors where they lie; the share is exact only on average, so a limit in hash order bounds what the driver gets
     made = common.arrow_map(picked.select("lang", "text", "place", "doc_id"), vectors, "place double, doc_id long, lang string, x binary")
-    got = [r for r in made.orderBy("place", "doc_id", "lang", "x").limit(2 * per_language * len(counts)).collect() if r["x"]]
-    got.sort(key=lambda r: (r["lang"], bytes(r["x"])))
-    return Model(np.stack([np.frombuffer(r["x"], np.float32) for r in got]), [r["lang"] for r in got]) if got else None
+    # and they come as packed counts, a part of the size of their features
+    got = [(r["lang"], bytes(r["x"])) for r in made.orderBy("place", "doc_id", "lang", "x").limit(2 * per_language * len(counts)).collect() if r["x"]]
+    if not got:
+        return None
+    got.sort()
+    x1 = np.ones((len(got), width + 1), np.float32)
+    for row, (_, x) in zip(x1, got, strict=True):
+        row[:width] = shares(unpacked(x, width))
+    langs = [lang for lang, _ in got]
+    del got, x, row
+    model = Model(x1, langs)
+    del x1
+    common.give_back()
+    common.driver_gives_back(docs.sparkSession)
+    return model
 
 
 def identify(docs: DataFrame, model: Model | None, width: int = WIDTH) -> DataFrame:

@@ -392,6 +392,30 @@ def test_language_on_held_out_rows(spark):
     assert langid.train(docs(spark, odd=False)) is None
 
 
+def test_language_sample_reaches_the_driver_packed(spark, monkeypatch):
+    for text in ("a few words", "word " * 30000, "straße " * 70000, "x"):
+        counts = langid.trigrams(text)
+        assert (langid.shares(langid.unpacked(langid.packed(counts), langid.WIDTH)) == langid.features(text)).all()
+    d = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    got, collect = [], type(d).collect
+    monkeypatch.setattr(type(d), "collect", lambda self: got.append(collect(self)) or got[-1])
+    assert langid.train(d) is not None
+    sizes = [len(r["x"]) for r in got[-1]]
+    assert len(sizes) > 500 and sum(sizes) <= 2 * len(sizes) * langid.WIDTH  # floats would be four bytes each
+
+
+def test_driver_gives_freed_memory_back(spark, monkeypatch):
+    from latticecube.llm import common
+
+    assert "Trim native heap" in common.driver_gives_back(spark)
+    calls = []
+    monkeypatch.setattr(common, "driver_gives_back", calls.append)
+    monkeypatch.setattr(common, "_given_back", [0.0])
+    for _ in range(2):
+        common.written(spark.range(3), "test-give-back")
+    assert len(calls) == 1  # not at every table
+
+
 def test_toxicity_ignores_neutral_mentions(spark):
     rng = random.Random(3)
     neutral = [f"w{i}" for i in range(200)]
